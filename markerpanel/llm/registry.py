@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
-from markerpanel.llm import quality_rules
+from markerpanel.llm import piece_codec, quality_rules, token_counts
 
 
 def queries() -> dict:
-    return {"op5_quality_rules": quality_rules.op5}
+    return {
+        "op2_sentencepiece": piece_codec.op2,
+        "op4_token_counts": token_counts.op4,
+        "op5_quality_rules": quality_rules.op5,
+    }
 
 
 def oracle_sql() -> dict:
