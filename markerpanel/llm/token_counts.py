@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from markerpanel.llm.common import arrow_map, public_file, table
 
 #: White space of the pattern, and the endings that stand alone after an apostrophe.
-WHITE = "\t-\r \x85\xa0  -     　"
+WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 ENDINGS = ("s", "t", "re", "ve", "m", "ll", "d")
 MEMO_ENTRIES = 400_000
 START = 0
