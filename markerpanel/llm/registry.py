@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from markerpanel.llm import piece_codec, quality_rules, token_counts
+from markerpanel.llm import decontamination, piece_codec, quality_rules, token_counts
 
 
 def queries() -> dict:
@@ -10,8 +10,12 @@ def queries() -> dict:
         "op2_sentencepiece": piece_codec.op2,
         "op4_token_counts": token_counts.op4,
         "op5_quality_rules": quality_rules.op5,
+        "op10_decontamination": decontamination.op10,
     }
 
 
 def oracle_sql() -> dict:
-    return {"op5_quality_rules": quality_rules.OP5_SQL}
+    return {
+        "op5_quality_rules": quality_rules.OP5_SQL,
+        "op10_decontamination": decontamination.OP10_SQL,
+    }
