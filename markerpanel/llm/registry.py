@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from markerpanel.llm import decontamination, piece_codec, quality_rules, token_counts
+from markerpanel.llm import archives, decontamination, piece_codec, quality_rules, token_counts
 
 
 def queries() -> dict:
     return {
         "op2_sentencepiece": piece_codec.op2,
+        "op3_warc": archives.op3,
         "op4_token_counts": token_counts.op4,
         "op5_quality_rules": quality_rules.op5,
         "op10_decontamination": decontamination.op10,
@@ -16,6 +17,7 @@ def queries() -> dict:
 
 def oracle_sql() -> dict:
     return {
+        "op3_warc": archives.OP3_SQL,
         "op5_quality_rules": quality_rules.OP5_SQL,
         "op10_decontamination": decontamination.OP10_SQL,
     }
