@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from markerpanel.llm import archives, decontamination, piece_codec, quality_rules, token_counts, toxicity, url_filters
+from markerpanel.llm import archives, decontamination, near_duplicates, piece_codec, quality_rules, token_counts, toxicity, url_filters
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op3_warc": archives.op3,
         "op4_token_counts": token_counts.op4,
         "op5_quality_rules": quality_rules.op5,
+        "op6_near_duplicates": near_duplicates.op6,
         "op7_toxicity": toxicity.op7,
         "op8_url_filters": url_filters.op8,
         "op10_decontamination": decontamination.op10,
@@ -21,6 +22,7 @@ def oracle_sql() -> dict:
     return {
         "op3_warc": archives.OP3_SQL,
         "op5_quality_rules": quality_rules.OP5_SQL,
+        "op6_near_duplicates": near_duplicates.op6,
         "op7_toxicity": toxicity.op7,
         "op8_url_filters": url_filters.op8,
         "op10_decontamination": decontamination.OP10_SQL,
