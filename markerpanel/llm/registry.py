@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from markerpanel.llm import archives, decontamination, near_duplicates, piece_codec, quality_rules, token_counts, toxicity, url_filters
+from markerpanel.llm import archives, decontamination, line_dedup, near_duplicates, piece_codec, quality_rules, token_counts, toxicity, url_filters
 
 
 def queries() -> dict:
@@ -14,6 +14,7 @@ def queries() -> dict:
         "op6_near_duplicates": near_duplicates.op6,
         "op7_toxicity": toxicity.op7,
         "op8_url_filters": url_filters.op8,
+        "op9_line_dedup": line_dedup.op9,
         "op10_decontamination": decontamination.op10,
     }
 
