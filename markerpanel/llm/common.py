@@ -74,6 +74,21 @@ def one_row_per_id(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
     return df
 
 
+def unique_rows(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
+    """Whole rows with each id once: of rows that repeat an id the one of the greatest text stays."""
+    if not docs.groupBy(key).count().filter("count > 1").limit(1).count():
+        return docs
+    whole = F.struct(*[docs[c] for c in docs.columns])
+    return docs.groupBy(docs[key].alias("_key")).agg(F.max_by(whole, F.struct(docs[text].isNotNull(), docs[text], F.xxhash64(*[docs[c] for c in docs.columns if not docs.schema[c].dataType.simpleString().startswith("map")]))).alias("_row")).select("_row.*")
+
+
+def with_ids(docs: DataFrame, ids: DataFrame, how: str, key: str = "doc_id", most: int = 1_000_000) -> DataFrame:
+    """docs whose id is (left_semi) or isn't (left_anti) among ``ids``, null ids included. Up to ``most`` ids are broadcast."""
+    ids = written(ids.select(F.coalesce(F.col(key).cast("long"), F.lit(NULL_ID)).alias("_id")).distinct())
+    right = F.broadcast(ids) if ids.count() <= most else ids
+    return docs.join(right, F.coalesce(docs[key].cast("long"), F.lit(NULL_ID)) == F.col("_id"), how)
+
+
 def strings(column: pa.Array | pa.ChunkedArray) -> pa.Array:
     """One chunk of text as large binary, null as empty."""
     if isinstance(column, pa.ChunkedArray):

@@ -54,8 +54,8 @@ def _repeat_words(words: Column) -> Column:
     return F.when(F.size(words) < WINDOW, F.lit(0).cast("long")).otherwise(_let(windows, count))
 
 
-def measured(docs: DataFrame) -> DataFrame:
-    """doc_id and the base measures of each text."""
+def measured(docs: DataFrame, key: str = "doc_id") -> DataFrame:
+    """The key column and the base measures of each text."""
     text = F.coalesce(F.col("text"), F.lit(""))
     bare = lambda s: F.translate(s, GAP_CHARS, "")
     # a regex split leaves an empty piece at an end that has a gap
@@ -63,13 +63,13 @@ def measured(docs: DataFrame) -> DataFrame:
     lines = F.filter(F.split(text, "\n"), lambda s: bare(s) != "")
     counts = lambda w: F.struct(F.size(w).cast("long").alias("n"), _repeat_words(w).alias("r"))
     return docs.select(
-        "doc_id",
+        key,
         _let(words, counts).alias("w"),
         F.char_length(bare(text)).cast("long").alias("word_chars"),
         (F.char_length(text) - F.char_length(F.translate(text, SYMBOLS, ""))).cast("long").alias("n_symbols"),
         _let(lines, lambda x: F.struct(F.size(x).cast("long").alias("n"), (F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("d"))).alias("l"),
         (F.char_length(text) - F.char_length(F.translate(text, "!", ""))).cast("long").alias("n_bangs"),
-    ).select("doc_id", F.col("w.n").alias("n_words"), "word_chars", "n_symbols", F.col("l.d").alias("n_dup_lines"), F.col("w.r").alias("n_repeat_words"), F.col("l.n").alias("n_lines"), "n_bangs")
+    ).select(key, F.col("w.n").alias("n_words"), "word_chars", "n_symbols", F.col("l.d").alias("n_dup_lines"), F.col("w.r").alias("n_repeat_words"), F.col("l.n").alias("n_lines"), "n_bangs")
 
 
 @dataclass(frozen=True)
@@ -101,13 +101,13 @@ def mask(rules) -> int:
     return sum(1 << names.index(x) for x in rules)
 
 
-def ledger(docs: DataFrame) -> DataFrame:
+def ledger(docs: DataFrame, key: str = "doc_id") -> DataFrame:
     """measured() and failure_bits: bit k is set where RULES[k] fails."""
     bits = None
     for k, rule in enumerate(RULES):
         bit = F.when(F.expr(rule.fails), F.lit(1 << k)).otherwise(F.lit(0)).cast("long")
         bits = bit if bits is None else bits.bitwiseOR(bit)
-    return measured(docs).withColumn("failure_bits", bits)
+    return measured(docs, key).withColumn("failure_bits", bits)
 
 
 def apply_policy(led: DataFrame, policy: str = "v1") -> DataFrame:
@@ -116,6 +116,12 @@ def apply_policy(led: DataFrame, policy: str = "v1") -> DataFrame:
     return led.withColumns({"base_failed": bits.bitwiseAND(mask(POLICIES["base"])) != 0, "kept": bits.bitwiseAND(mask(POLICIES["base"]) | mask(POLICIES[policy])) == 0})
 
 
+def accepted(docs: DataFrame, policy: str = "v1") -> DataFrame:
+    """The rows of docs that a policy keeps, with their own columns (whatever their names) and no others."""
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), "text")
+    return apply_policy(ledger(rows, "row"), policy).filter("kept").select("row.*")
+
+
 def ablation(led: DataFrame, policy: str = "v1") -> DataFrame:
     """For each rule of a policy: rejected by it, rejected by it alone, and kept if it were dropped.
 

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from markerpanel.llm import archives, decontamination, line_dedup, near_duplicates, piece_codec, quality_rules, token_counts, toxicity, url_filters
+from markerpanel.llm import archives, decontamination, line_dedup, near_duplicates, piece_codec, quality_rules, suffix_dedup, token_counts, toxicity, url_filters
 
 
 def queries() -> dict:
     return {
+        "op1_suffix_dedup": suffix_dedup.op1,
         "op2_sentencepiece": piece_codec.op2,
         "op3_warc": archives.op3,
         "op4_token_counts": token_counts.op4,
