@@ -68,7 +68,17 @@ def canonical_kmer(kmer) -> Column:
 
 def canonical_signature(seq, k: int, order: str = "lex") -> Column:
     """The least canonical k-mer: by letters (the order of the 2-bit code) or by hash. Null below k bases."""
-    own = F.transform(kmers(seq, k), canonical_kmer)
+    if not 1 <= k <= 32:
+        raise PanelError(f"k must be in 1..32, got {k}")
+
+    def windows(both: Column) -> Column:
+        """Each window beside the window of the reverse complement that mirrors it: one reversal per sequence."""
+        s, rc = both["s"], both["rc"]
+        n = F.length(s) - k + 1
+        own = F.transform(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.least(F.substring(s, i, F.lit(k)), F.substring(rc, n - i + 1, F.lit(k))))
+        return F.when(n > 0, own).otherwise(F.array().cast("array<string>"))
+
+    own = F.transform(F.array(F.struct(col(seq).alias("s"), revcomp(seq).alias("rc"))), windows)[0]
     if order == "lex":
         return F.array_min(own)
     if order == "hash":

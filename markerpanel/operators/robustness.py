@@ -82,8 +82,11 @@ def seeded_sample(tags: DataFrame, n: int = 250, seed: str = "7") -> DataFrame:
 
 def kmer_recall(tags: DataFrame, ks=(8, 16, 24, 32), sample: int = 250, seed: str = "7", order: str = "lex") -> DataFrame:
     """k, cases, kept, recall: mutants (each single substitution of sampled tags) whose signature stays."""
-    mutants = seeded_sample(tags, sample, seed).select("marker", F.explode(dna.substitutions("marker")).alias("m"))
-    each = F.explode(F.array(*[F.struct(F.lit(n).alias("k"), (dna.canonical_signature("marker", n, order) == dna.canonical_signature("m.mutant", n, order)).alias("same")) for n in ks]))
+    own = F.array(*[dna.canonical_signature("marker", n, order) for n in ks])
+    mutants = seeded_sample(tags, sample, seed).select(own.alias("own"), F.explode(dna.substitutions("marker")).alias("m")).select("own", F.col("m.mutant").alias("mutant"))
+    # spread: the sample is one small partition, its mutants are many
+    mutants = mutants.repartition(mutants.sparkSession.sparkContext.defaultParallelism)
+    each = F.explode(F.array(*[F.struct(F.lit(n).alias("k"), (F.get("own", F.lit(i)) == dna.canonical_signature("mutant", n, order)).alias("same")) for i, n in enumerate(ks)]))
     out = mutants.select(each.alias("s")).groupBy("s.k").agg(F.count(F.lit(1)).alias("cases"), F.count_if("s.same").alias("kept"))
     return out.withColumn("recall", F.col("kept") / F.col("cases"))
 
