@@ -332,7 +332,7 @@ def _tags(s, d) -> DataFrame:
 
 TAGS = f"{o.panel('P9')}, tags AS (SELECT DISTINCT marker FROM cells)"
 query("pack_roundtrip", W + TAGS + """, q AS (SELECT marker, unnest(range(0, (length(marker) + 3) // 4)) AS j FROM tags),
-b AS (SELECT marker, j, list_sum([strpos('CGT', substr(marker, CAST(j * 4 + k AS INT), 1)) * power(4, 4 - k) FOR k IN [1, 2, 3, 4]]) AS v FROM q)
+b AS (SELECT marker, j, list_sum([(strpos('ACGT', substr(marker, CAST(j * 4 + k AS INT), 1)) - 1) * power(4, 4 - k) FOR k IN [1, 2, 3, 4]]) AS v FROM q)
 SELECT marker, marker AS back, printf('%02X', CAST(length(marker) % 4 AS INT)) || string_agg(printf('%02X', CAST(v AS INT)), '' ORDER BY j) AS packed_hex, CAST(1 + (length(marker) + 3) // 4 AS BIGINT) AS n_bytes FROM b GROUP BY marker""")(lambda s, d: _tags(s, d).withColumn("t", dna.pack_tag("marker")).select("marker", dna.unpack_tag("t").alias("back"), F.hex("t").alias("packed_hex"), F.octet_length("t").alias("n_bytes")))
 query("packing_ratio", W + TAGS + f" SELECT count(*) AS n_tags, {o.i('sum(length(marker))', 'text_bytes')}, {o.i('sum(1 + (length(marker) + 3) // 4)', 'packed_bytes')}, {o.r('sum(length(marker)) / sum(1 + (length(marker) + 3) // 4)', 'ratio')} FROM tags")(lambda s, d: commands.packing_ratio(_tags(s, d)))
 query("total_bases", W + f"{o.panel('P9')} SELECT {o.i('sum(depth * length(marker))', 'bases')} FROM cells")(lambda s, d: ms.total_bases(pn.reads(s, d)))
