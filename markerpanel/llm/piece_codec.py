@@ -13,18 +13,23 @@ are ignored; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from markerpanel.llm.common import arrow_map, public_file, table
 
 SPACE = "▁"
+#: ASCII digits and punctuation, and Latin letters, as insides of character classes.
+MARKS = r"!-@\[-`{-~"
+LATIN = r"A-Za-z\u00C0-\u00D6\u00D8-\u00F6\u00F8-\u024F"
 #: Entries of the per-task memo of encoded stretches; a full memo is emptied, results stay the same.
-MEMO_ENTRIES = 300_000
+MEMO_ENTRIES = 500_000
 
 
 class PieceCodec:
@@ -60,21 +65,38 @@ class PieceCodec:
         for piece in self.id_of:
             self.automaton.add_word(piece, piece)
         self.automaton.make_automaton()
+        self.longest = max(map(len, self.id_of), default=1)
+        self.pairs = {pair for piece in self.id_of for pair in zip(piece, piece[1:], strict=False)}
         self.stretches = self._stretch_pattern()
         self.memo: dict[str, tuple[str, str]] = {}
+        self.known: dict[str, list[str]] = {}
+        self.makes: dict[str, bool] = {}
 
     def _stretch_pattern(self) -> re.Pattern:
-        """Texts can be cut where no piece of two or more characters reaches across.
+        """Texts can be cut between two characters that stand next to each other in no piece.
 
-        Cuts: before a run of spaces that follows another character (checked: no piece holds a space
-        after another character), and around a line feed, if no longer piece holds one.
+        Three such cuts are made at once, each if the vocabulary allows it: before a run of spaces that
+        follows another character, around a line feed, and between Latin letters and ASCII digits or punctuation.
         """
-        long = [p for p in self.id_of if len(p) > 1]
-        if any(SPACE in p.lstrip(SPACE) for p in long):
+        if any(a != SPACE and b == SPACE for a, b in self.pairs):
             return re.compile(r"(?s).+")
-        if any("\n" in p for p in long):
-            return re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+")
-        return re.compile(f"\n|{SPACE}*[^{SPACE}\n]+|{SPACE}+")
+        feed = not any("\n" in p for p in self.pairs)
+        kinds = [(re.compile(f"[{x}]"), re.compile(f"[{y}]")) for x, y in ((MARKS, LATIN), (LATIN, MARKS))]
+        apart = not any(x.match(a) and y.match(b) for x, y in kinds for a, b in self.pairs)
+        rest = f"{SPACE}\n" if feed else SPACE
+        alone = f"(?![^{rest}{MARKS}{LATIN}])"  # what is neither may belong to either
+        parts = [f"{SPACE}*[{LATIN}]++{alone}", f"{SPACE}*[{MARKS}]++{alone}"] if apart else []
+        return re.compile("|".join((["\n"] if feed else []) + parts + [f"{SPACE}*[^{rest}]+", f"{SPACE}+"]))
+
+    def _cuts(self, s: str) -> list[str]:
+        """A stretch cut wherever no piece has its two characters next to each other."""
+        out, start, pairs = [], 0, self.pairs
+        for k in range(1, len(s)):
+            if (s[k - 1], s[k]) not in pairs:
+                out.append(s[start:k])
+                start = k
+        out.append(s[start:])
+        return out
 
     # -- merges ---------------------------------------------------------------------------------
     def _merge(self, symbols: list[str]) -> tuple[list[str], tuple[str, str] | None]:
@@ -123,40 +145,59 @@ class PieceCodec:
         self.beside[key] = ok
         return ok
 
+    def _whole(self, piece: str) -> bool:
+        """Whether merging makes this piece of its characters."""
+        hit = self.makes.get(piece)
+        if hit is None:
+            hit = len(piece) == 1 or (piece in self.id_of and self.split(piece) != ("", ""))
+            if hit or piece in self.id_of:
+                self.makes[piece] = hit
+        return hit
+
+    def _greedy(self, text: str) -> list[str] | None:
+        """Longest matches one after another, if each may stand beside the one before it: then nothing is to be undone."""
+        out: list[str] = []
+        at = 0
+        for end, piece in self.automaton.iter_long(text):
+            start = end + 1 - len(piece)
+            while at < start:  # characters without a piece
+                out.append(text[at])
+                at += 1
+            if not self._whole(piece) or (out and not self.fits(out[-1], piece)):
+                return None
+            out.append(piece)
+            at = end + 1
+        out += text[at:]
+        return out
+
     def pieces(self, text: str) -> list[str]:
         """The pieces of a stretch (spaces already replaced); characters without a piece stand alone."""
-        n = len(text)
-        if text in self.id_of and (n == 1 or self.split(text) != ("", "")):
+        n, whole, reach = len(text), self._whole, self.automaton.longest_prefix
+        if whole(text):
             return [text]
-        found: list[list[int]] = [[] for _ in range(n)]
-        for end, piece in self.automaton.iter(text):
-            if len(piece) == 1 or self.split(piece) != ("", ""):
-                found[end + 1 - len(piece)].append(len(piece))
-        for k, lengths in enumerate(found):
-            if 1 not in lengths:
-                lengths.append(1)
-            lengths.sort()
+        if (quick := self._greedy(text)) is not None:
+            return quick
         failed = bytearray(n // 8 + 1)  # bit k: nothing that ends at k can be completed
         out: list[str] = []
-        tried = [list(found[0])] if n else []
-        at = 0
+        at, size = 0, max(1, reach(text[: self.longest]))
         while at < n:
-            options = tried[-1]
-            while options:
-                size = options.pop()
+            # the longest piece of at most ``size`` characters that fits here
+            while size:
                 end = at + size
-                if failed[end >> 3] >> (end & 7) & 1:
-                    continue
-                piece = text[at:end]
-                if not out or self.fits(out[-1], piece):
-                    out.append(piece)
-                    at = end
-                    tried.append(list(found[at]) if at < n else [])
-                    break
-            else:
+                if not failed[end >> 3] >> (end & 7) & 1:
+                    piece = text[at:end]
+                    if whole(piece) and (not out or self.fits(out[-1], piece)):
+                        break
+                size -= 1
+            if size:
+                out.append(piece)
+                at = end
+                size = max(1, reach(text[at : at + self.longest]))
+            else:  # back to the piece before, and on to a shorter one there
                 failed[at >> 3] |= 1 << (at & 7)
-                tried.pop()
-                at -= len(out.pop())
+                size = len(out.pop())
+                at -= size
+                size -= 1
         return out
 
     def ids(self, pieces: list[str]) -> list[int]:
@@ -171,30 +212,52 @@ class PieceCodec:
         return out
 
     # -- texts ----------------------------------------------------------------------------------
-    def _stretch(self, s: str) -> str:
-        """Ids of a stretch, as decimal text."""
-        if (hit := self.memo.get(s)) is None:
-            if len(self.memo) >= MEMO_ENTRIES:
-                self.memo.clear()
-            hit = " ".join(map(str, self.ids(self.pieces(s))))
-            if len(s) < 64:
-                self.memo[s] = hit
+    def _stretch(self, s: str) -> tuple[str, str]:
+        """Ids of a stretch as decimal text, and what these ids decode to.
+
+        A stretch holds whole characters, so its byte pieces decode alike alone and among others.
+        """
+        ids = self.ids([p for part in self._cuts(s) for p in (self.known.get(part) or self._part(part))])
+        hit = (" ".join(map(str, ids)), self._decoded(ids))
+        if len(self.memo) >= MEMO_ENTRIES:
+            self.memo.clear()
+        if len(s) < 64:
+            self.memo[s] = hit
         return hit
 
-    def encode_text(self, text: str) -> str:
-        """Ids with the end id, as decimals joined by one space."""
+    def _part(self, part: str) -> list[str]:
+        out = self.pieces(part)
+        if len(self.known) >= MEMO_ENTRIES // 2:
+            self.known.clear()
+        if len(part) < 32:
+            self.known[part] = out
+        return out
+
+    def both(self, text: str) -> tuple[str, str]:
+        """(ids with the end id, as decimals joined by one space; the text they decode to)."""
         if not text:
-            return str(self.eos)
+            return str(self.eos), ""
         memo, make = self.memo.get, self._stretch
         parts = [memo(s) or make(s) for s in self.stretches.findall(self.prefix + text.replace(" ", SPACE))]
-        parts.append(str(self.eos))
-        return " ".join(parts)
+        ids, texts = zip(*parts, strict=True)
+        return f"{' '.join(ids)} {self.eos}", self._shown("".join(texts))
+
+    def encode_text(self, text: str) -> str:
+        return self.both(text)[0]
 
     def encode(self, text: str) -> list[int]:
         return list(map(int, self.encode_text(text).split(" ")))
 
+    def _shown(self, joined: str) -> str:
+        if self.prefix and joined.startswith(SPACE):
+            joined = joined[1:]
+        return joined.replace(SPACE, " ")
+
     def decode(self, ids: list[int]) -> str:
         """Pieces put together; runs of byte pieces are read as UTF-8; the leading space goes."""
+        return self._shown(self._decoded(ids))
+
+    def _decoded(self, ids: list[int]) -> str:
         parts: list[str] = []
         run = bytearray()
         of = self.text_of
@@ -210,10 +273,7 @@ class PieceCodec:
                 parts.append(piece)
         if run:
             parts.append(_utf8(bytes(run)))
-        text = "".join(parts)
-        if self.prefix and text.startswith(SPACE):
-            text = text[1:]
-        return text.replace(SPACE, " ")
+        return "".join(parts)
 
 
 def _utf8(data: bytes) -> str:
@@ -236,23 +296,27 @@ def _utf8(data: bytes) -> str:
         return "".join(out)
 
 
+@functools.cache
+def codec_of(model_file: str) -> PieceCodec:
+    """One codec a process: tasks that follow one another on a worker share what it has learnt."""
+    return PieceCodec(model_file)
+
+
 def encode_documents(docs: DataFrame, model_file: str, with_ids: bool = True) -> DataFrame:
     """doc_id, ids (array, end id last), decoded text; without with_ids the two digests instead."""
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def make():
-        codec = PieceCodec(model_file)
+        codec = codec_of(model_file)
 
         def step(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             ids, texts = batch.column(0), batch.column(1)
             for lo in range(0, batch.num_rows, 500):
                 counts, first, second, own = [], [], [], ids.slice(lo, 500)
                 for text in texts.slice(lo, 500).to_pylist():
-                    joined = codec.encode_text(text or "")
-                    listed = list(map(int, joined.split(" ")))
-                    back = codec.decode(listed)
-                    counts.append(len(listed))
-                    first.append(listed if with_ids else hashlib.sha256(joined.encode()).hexdigest())
+                    joined, back = codec.both(text or "")
+                    counts.append(joined.count(" ") + 1)
+                    first.append(np.array(joined.split(" "), np.int32) if with_ids else hashlib.sha256(joined.encode()).hexdigest())
                     second.append(back if with_ids else hashlib.sha256(back.encode("utf-8", "surrogatepass")).hexdigest())
                 yield pa.RecordBatch.from_arrays([own, pa.array(counts, pa.int64()), pa.array(first, pa.list_(pa.int32()) if with_ids else pa.string()), pa.array(second, pa.string())], names=names)
 
