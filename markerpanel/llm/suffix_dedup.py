@@ -45,16 +45,22 @@ SORT_BYTES = 1 << 20
 
 # -- suffix array, LPF ----------------------------------------------------------------------------
 def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
-    """Places ordered by their first ``depth`` symbols (ties by place), by prefix doubling."""
+    """Places ordered by their first ``depth`` symbols (ties by place), by prefix doubling. Symbols are below 511."""
     n = len(data)
-    key, size = data.astype(np.int64), 1  # keys tell ``size`` symbols apart
+    size = min(7, depth)  # as many symbols of nine bits as a key holds; beyond the end stands 0
+    padded = np.zeros(n + size, np.int64)
+    padded[:n] = data + 1
+    key = padded[:n].copy()
+    for k in range(1, size):
+        key = key << 9 | padded[k : n + k]
     while True:
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key, kind="stable" if size >= depth else None)
         rank = np.empty(n, np.int64)
         steps = np.ones(n, np.int64)
-        steps[1:] = key[order][1:] != key[order][:-1]
+        ordered = key[order]
+        steps[1:] = ordered[1:] != ordered[:-1]
         rank[order] = np.cumsum(steps)  # dense, from 1; 0 stands for beyond the end
-        if size >= depth or rank[order[-1]] == n:
+        if size >= depth or not n or rank[order[-1]] == n:
             return order
         # twice as many symbols, or just as many as are missing (the two halves may overlap)
         gap = min(size, depth - size)
@@ -64,28 +70,24 @@ def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
 
 
 def longest_previous_factors(data: np.ndarray, order: np.ndarray, depth: int) -> np.ndarray:
-    """LPF of each place, cut at ``depth``: its longest match that begins at a smaller place.
+    """LPF, cut at ``depth``, of the places in ``order``, by place: the longest match that begins at a smaller one of them.
 
     In suffix order the best match of a place is its previous or next smaller place; the match's length is
     the least common prefix of neighbours in between. Removing places from the largest to the smallest
     from a linked list meets each place with just these two as neighbours.
     """
-    n = len(data)
-    lpf = np.zeros(n, np.int64)
+    n = len(order)
     if n < 2:
-        return lpf
-    common = _common_prefixes(data, order, depth)  # of order[k-1] and order[k]
+        return np.zeros(n, np.int64)
     before = np.arange(-1, n - 1).tolist()
     after = np.arange(1, n + 1).tolist()
-    where = np.empty(n, np.int64)
-    where[order] = np.arange(n)
-    common = [*common.tolist(), 0]
-    out = lpf.tolist()
-    for k in where[::-1].tolist():
+    common = [*_common_prefixes(data, order, depth).tolist(), 0]  # of order[k-1] and order[k]
+    by_place = np.argsort(order)
+    out = [0] * n
+    for at, k in zip(range(n - 1, -1, -1), by_place[::-1].tolist(), strict=True):
         left, right = before[k], after[k]
-        a, b = common[k], common[right] if right < n else 0
-        place = order[k]
-        out[place] = a if a > b else b
+        a, b = common[k], common[right]
+        out[at] = a if a > b else b
         if right < n:
             common[right] = a if a < b else b
             before[right] = left
@@ -97,9 +99,9 @@ def longest_previous_factors(data: np.ndarray, order: np.ndarray, depth: int) ->
 def _common_prefixes(data: np.ndarray, order: np.ndarray, depth: int) -> np.ndarray:
     """Common prefix of each suffix with the one before it in order, up to depth; 0 for the first."""
     n = len(data)
-    out = np.zeros(n, np.int64)
+    out = np.zeros(len(order), np.int64)
     a, b = order[:-1], order[1:]
-    live = np.arange(n - 1)
+    live = np.arange(len(order) - 1)
     for k in range(depth):
         live = live[(a[live] + k < n) & (b[live] + k < n)]
         live = live[data[a[live] + k] == data[b[live] + k]]
@@ -244,21 +246,29 @@ def _bytes(docs: DataFrame) -> DataFrame:
 def _repeats(docs: list[int], places: list[int], parts: list[bytes]) -> list[tuple[int, int, int]]:
     """(doc_id, first, last) runs of places with LPF >= STRING. Parts come in order of place."""
     sizes = np.array([len(b) for b in parts])
-    total = int(sizes.sum()) + len(parts)
-    data = np.zeros(total, np.int64)
     at = np.cumsum(sizes + 1) - sizes - 1
-    for k, (a, b) in enumerate(zip(at.tolist(), parts, strict=True)):
-        data[a : a + len(b)] = np.frombuffer(b, np.uint8)
-        data[a + len(b)] = 256 + k  # an end of its own: no match crosses parts
-    lpf = longest_previous_factors(data, suffix_array(data, STRING), STRING)
-    out = []
-    for k, a in enumerate(at.tolist()):
-        hits = np.flatnonzero(lpf[a : a + max(0, len(parts[k]) - STRING + 1)] >= STRING)
-        if len(hits):
-            cut = np.flatnonzero(np.diff(hits) > 1)
-            for x, y in zip(hits[np.append(0, cut + 1)].tolist(), hits[np.append(cut, len(hits) - 1)].tolist(), strict=True):
-                out.append((docs[k], places[k] + x, places[k] + y))
-    return out
+    joined = np.frombuffer(b"\n".join(parts) + b"\n", np.uint8).astype(np.int64) + 1
+    joined[at + sizes] = 0  # the end of a part; no string that is asked for reaches it
+    # only places where a whole string begins are asked for
+    begins = np.zeros(len(joined) + 1, np.int64)
+    room = np.maximum(sizes - STRING + 1, 0)
+    np.add.at(begins, at, 1)
+    np.add.at(begins, at + room, -1)
+    begins = np.cumsum(begins)[:-1] > 0
+    order = suffix_array(joined, STRING)
+    order = order[begins[order]]
+    # a place whose neighbours in order share less than a string has no match that counts
+    whole = _common_prefixes(joined, order, STRING) >= STRING
+    near = whole.copy()
+    near[:-1] |= whole[1:]
+    order = order[near]
+    found = np.sort(order)[longest_previous_factors(joined, order, STRING) >= STRING]
+    if not len(found):
+        return []
+    part = np.searchsorted(at, found, "right") - 1
+    edge = np.flatnonzero((np.diff(found) > 1) | (np.diff(part) > 0))
+    first, last = np.append(0, edge + 1), np.append(edge, len(found) - 1)
+    return [(docs[k], places[k] + x, places[k] + y) for k, x, y in zip(part[first].tolist(), (found[first] - at[part[first]]).tolist(), (found[last] - at[part[last]]).tolist(), strict=True)]
 
 
 def _partial(rows: DataFrame) -> DataFrame:
