@@ -39,7 +39,7 @@ def materialized(command: str, panel: Panel, d: int = 1, alpha: float = 0.05) ->
         return counts.filter("n_ind > 0").groupBy("n_ind").agg(F.count(F.lit(1)).alias("n_markers"))
     if command == "depth":
         each = table.select("marker", F.explode(F.array(*[F.struct(F.lit(m).alias("ind"), F.col(c).alias("depth")) for (c, _), (m, _) in zip(cols, panel.members(), strict=True)])).alias("x"))
-        return each.select("x.*").groupBy("ind").agg(F.sum("depth").alias("reads"), F.count_if("depth > 0").alias("retained"), F.min("depth").alias("min_d"), F.max("depth").alias("max_d"), F.avg("depth").alias("mean_d"), F.expr("percentile(depth, 0.5)").alias("median"))
+        return each.select("x.*").groupBy("ind").agg(F.sum("depth").alias("reads"), F.count_if(F.expr("depth > 0")).alias("retained"), F.min("depth").alias("min_d"), F.max("depth").alias("max_d"), F.avg("depth").alias("mean_d"), F.expr("percentile(depth, 0.5)").alias("median"))
     rows = counts.filter("g1 + g2 > 0").withColumns({"stat": k.yates_chi2("g1", "g2", n1, n2), "p": k.p_value("yates", "g1", "g2", n1, n2)})
     n = rows.count()
     rows = rows.withColumn("p_corr", F.least(F.lit(1.0), F.col("p") * n))
@@ -176,6 +176,6 @@ def group_coverage_contrast(cells: DataFrame, groups: DataFrame) -> DataFrame:
     """Complementary idea: per contig (marker), mean normalised depth of group 1 over that of group 2."""
     total = Window.partitionBy("ind")
     share = cells.withColumn("share", F.col("depth") / F.sum("depth").over(total)).join(F.broadcast(groups.select("ind", "grp").distinct()), "ind")
-    n = groups.select("ind", "grp").distinct().groupBy().agg(F.count_if("grp = 1").alias("n1"), F.count_if("grp = 2").alias("n2"))
+    n = groups.select("ind", "grp").distinct().groupBy().agg(F.count_if(F.expr("grp = 1")).alias("n1"), F.count_if(F.expr("grp = 2")).alias("n2"))
     out = share.groupBy("marker").agg(F.sum(F.when(F.col("grp") == 1, F.col("share"))).alias("s1"), F.sum(F.when(F.col("grp") == 2, F.col("share"))).alias("s2"))
     return out.crossJoin(F.broadcast(n)).select("marker", F.try_divide(F.coalesce("s1", F.lit(0.0)) / F.col("n1"), F.coalesce("s2", F.lit(0.0)) / F.col("n2")).alias("ratio"))

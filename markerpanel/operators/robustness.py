@@ -181,7 +181,7 @@ def empirical_error_rates(panel: Panel, d: int = 1, reps: int = 20, seed: int =
     kind = panel.groups.schema["ind"].dataType.simpleString()
     shuffled = panel.cells.sparkSession.createDataFrame(rows, f"rep int, ind {kind}, grp int")
     hits = panel.cells.filter(F.col("depth") >= d).join(F.broadcast(shuffled), "ind")
-    counts = hits.groupBy("rep", "marker").agg(F.count_if("grp = 1").cast("int").alias("g1"), F.count_if("grp = 2").cast("int").alias("g2"))
+    counts = hits.groupBy("rep", "marker").agg(F.count_if(F.expr("grp = 1")).cast("int").alias("g1"), F.count_if(F.expr("grp = 2")).cast("int").alias("g2"))
     lat = counts.groupBy("rep", "g1", "g2").agg(F.count(F.lit(1)).alias("n_markers"))
     n = lat.groupBy("rep").agg(F.sum("n_markers").alias("n_tests"))
     p = lat.join(F.broadcast(n), "rep").withColumn("p", k.p_value("yates", "g1", "g2", n1, n2))

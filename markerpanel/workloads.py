@@ -306,7 +306,7 @@ query("b16_downsample")(lambda s, d: baselines.downsample(P["P2"](s, d), 0.5))
 query("b12_coverage_contrast", W + f"{o.panel('P11')}, sh AS (SELECT marker, grp, depth / sum(depth) OVER (PARTITION BY ind) AS share FROM cells JOIN groups USING (ind)), n AS (SELECT count(*) FILTER (WHERE grp = 1) AS n1, count(*) FILTER (WHERE grp = 2) AS n2 FROM groups) SELECT marker, {o.r('(coalesce(sum(share) FILTER (WHERE grp = 1), 0) / any_value(n1)) / nullif(coalesce(sum(share) FILTER (WHERE grp = 2), 0) / any_value(n2), 0)', 'ratio')} FROM sh, n GROUP BY marker")(lambda s, d: baselines.group_coverage_contrast(P["P11"](s, d).cells, P["P11"](s, d).groups))
 query("b11_segregation", f"""WITH x AS (SELECT l_partkey AS locus, count(*) FILTER (WHERE l_suppkey % 2 = 0 AND l_returnflag = 'N') AS sa, count(*) FILTER (WHERE l_suppkey % 2 = 0) AS sn, count(*) FILTER (WHERE l_suppkey % 2 = 1 AND l_returnflag = 'N') AS da, count(*) FILTER (WHERE l_suppkey % 2 = 1) AS dn FROM lineitem GROUP BY l_partkey),
 l AS (SELECT *, greatest(sa * ln(0.99) + (sn - sa) * ln(0.01) + da * ln(0.01) + (dn - da) * ln(0.99), sa * ln(0.01) + (sn - sa) * ln(0.99) + da * ln(0.99) + (dn - da) * ln(0.01)) - (sn + dn) * ln(0.5) AS gap FROM x)
-SELECT CASE WHEN abs(gap) < ln(20) THEN 'no information' WHEN gap > 0 THEN 'linked' ELSE 'autosomal' END AS class, count(*) AS n FROM l GROUP BY 1""")(lambda s, d: baselines.segregation_classes(load(s, d, "lineitem").groupBy(F.col("l_partkey").alias("locus")).agg(F.count_if("l_suppkey % 2 = 0 and l_returnflag = 'N'").alias("sons_alt"), F.count_if("l_suppkey % 2 = 0").alias("sons"), F.count_if("l_suppkey % 2 = 1 and l_returnflag = 'N'").alias("daughters_alt"), F.count_if("l_suppkey % 2 = 1").alias("daughters"))).groupBy("class").agg(F.count(F.lit(1)).alias("n")))
+SELECT CASE WHEN abs(gap) < ln(20) THEN 'no information' WHEN gap > 0 THEN 'linked' ELSE 'autosomal' END AS class, count(*) AS n FROM l GROUP BY 1""")(lambda s, d: baselines.segregation_classes(load(s, d, "lineitem").groupBy(F.col("l_partkey").alias("locus")).agg(F.count_if(F.expr("l_suppkey % 2 = 0 and l_returnflag = 'N'")).alias("sons_alt"), F.count_if(F.expr("l_suppkey % 2 = 0")).alias("sons"), F.count_if(F.expr("l_suppkey % 2 = 1 and l_returnflag = 'N'")).alias("daughters_alt"), F.count_if(F.expr("l_suppkey % 2 = 1")).alias("daughters"))).groupBy("class").agg(F.count(F.lit(1)).alias("n")))
 
 
 # -- reads, packing, k-mers, merging, mapping: W7, W8, W20, W21 -------------------------------------
