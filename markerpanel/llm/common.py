@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import uuid
@@ -52,6 +53,12 @@ def written(df: DataFrame) -> DataFrame:
     return spark.read.parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Let go of shuffle files that nothing refers to: Spark drops them when the driver collects its garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def keyed(docs: DataFrame, *cols: str, key: str = "doc_id") -> DataFrame:
     """Only the id (null becomes NULL_ID, any integral or castable type becomes long) and the columns asked for."""
     return docs.select(F.coalesce(F.col(key).cast("long"), F.lit(NULL_ID)).alias(key), *cols)

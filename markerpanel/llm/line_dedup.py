@@ -8,8 +8,8 @@ are never removed.
 Equal sets collapse first, to their first line. The others meet by prefix filtering: words are ordered by
 rarity (counts over all lines, in a table of fixed size; ties by hash), and two similar sets share a
 word among the first n - ceil(LEAST n / 100) + 1 of each. Length and position filters drop pairs before
-anything is compared: each shared prefix word tells how many words can still be shared, and a
-pair is taken up once. The rest is verified on the whole sets, which
+anything is compared: each shared prefix word tells how many words can still be shared. A third filter
+compares 64 parity bits of the sets, which can't differ in more places than the sets do. All are exact. The rest is verified on the whole sets, which
 travel only for lines that are in such a pair.
 
 Defined cases: a null or empty text has one line without words and stays; rows that repeat an id are
@@ -24,21 +24,24 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from markerpanel.llm import textbytes as tb
-from markerpanel.llm.common import NULL_ID, arrow_map, one_row_per_id, shown, sliced, strings, table, written
+from markerpanel.llm.common import NULL_ID, arrow_map, one_row_per_id, release, shown, sliced, strings, table, written
 
 LEAST = 80
 MIN_WORDS = 5
 #: Size of the table of word counts by hash; the same for every corpus.
-RARITY_CELLS = 1 << 16
+RARITY_CELLS = 1 << 20
+CHUNK = 1 << 14
 SLICE = 1 << 20
 #: Sets a task remembers as sent (bounds its memory only; results stay the same).
 SENT = 300_000
 #: Lines to be compared up to this many are broadcast as places (12 bytes each); more are joined by shuffle.
 BROADCAST_LINES = 1_000_000
+#: Blocks of pairs that are verified one after another, at most.
+BLOCKS = 8
 _NEWLINE = np.array([b == 10 for b in range(256)])
 
 
@@ -75,22 +78,35 @@ def _slices(col: pa.Array) -> Iterator[tuple[int, int]]:
 
 
 def rarity(docs: DataFrame) -> np.ndarray:
-    """Word counts by hash cell, over all lines. A task sends one row per cell at most."""
+    """Word counts by hash cell, over all lines, as eighths of their base-2 logarithm (a byte a cell).
 
-    def run(batches):
+    A task adds up one vector and sends it in chunks; the chunks of all tasks are added up where they meet.
+    """
+
+    def count(batches):
         total = np.zeros(RARITY_CELLS, np.int64)
         for batch in batches:
             col = strings(batch.column(0))
             for lo, hi in _slices(col):
                 h = _line_words(col.slice(lo, hi - lo))[1]
                 total += np.bincount((h % np.uint64(RARITY_CELLS)).astype(np.int64), minlength=RARITY_CELLS)
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["cell", "n"])
+        chunks = [total[k : k + CHUNK].tobytes() for k in range(0, RARITY_CELLS, CHUNK)]
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(chunks)), pa.int32()), pa.array(chunks, pa.binary())], names=["chunk", "n"])
 
-    counts = np.zeros(RARITY_CELLS, np.int64)
-    for r in docs.select("text").mapInArrow(run, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toLocalIterator():
-        counts[r.cell] = r.n
-    return counts
+    def add(batches):
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for chunk, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                sums[chunk] = sums.get(chunk, 0) + np.frombuffer(n, np.int64)
+        if sums:
+            marks = [np.minimum(255, np.log2(v + 1) * 8).astype(np.uint8).tobytes() for v in sums.values()]
+            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array(marks, pa.binary())], names=["chunk", "n"])
+
+    parts = docs.select("text").mapInArrow(count, "chunk int, n binary").repartition("chunk").mapInArrow(add, "chunk int, n binary")
+    out = np.zeros(RARITY_CELLS, np.uint8)
+    for r in parts.toLocalIterator():
+        out[r.chunk * CHUNK : (r.chunk + 1) * CHUNK] = np.frombuffer(r.n, np.uint8)
+    return out
 
 
 def _lines(docs: DataFrame, min_words: int) -> DataFrame:
@@ -123,7 +139,10 @@ def _digests(line: np.ndarray, h: np.ndarray, n: int) -> list[np.ndarray]:
 
 
 def _postings(docs: DataFrame, held, least: int, min_words: int) -> DataFrame:
-    """word, pos, size, d1, d2 for each prefix word of each set (pos: its place in the order by rarity).
+    """word, at (pos << 32 | size), prev, bits, d1 for each prefix word of each set.
+
+    pos is the word's place in the order by rarity and prev the word before it (0 at the start); bits has bit b
+    set if an odd number of words hash to b, so two sets differ in at least as many words as their bits.
 
     A task passes over sets that it has just sent, so frequent lines are thinned before the shuffle; what
     several tasks send is merged after it.
@@ -148,15 +167,18 @@ def _postings(docs: DataFrame, held, least: int, min_words: int) -> DataFrame:
                     if key not in sent:
                         sent.add(key)
                         fresh[k] = True
+                bits = np.zeros(len(owner), np.uint64)
+                np.bitwise_xor.at(bits, line, np.uint64(1) << (tb.mixed(h) >> np.uint64(58)))
                 pos = np.arange(len(line)) - (np.cumsum(size) - size)[line]
                 prefix = size - -(-least * size // 100) + 1
                 keep = np.flatnonzero((pos < prefix[line]) & fresh[line])
                 at = line[keep]
-                yield pa.RecordBatch.from_arrays([pa.array(h[keep].view(np.int64)), pa.array(pos[keep].astype(np.int32)), pa.array(size[at].astype(np.int32)), pa.array(d1[at]), pa.array(d2[at])], names=["word", "pos", "size", "d1", "d2"])
+                before = np.where(pos == 0, 0, np.roll(h.view(np.int64), 1))
+                yield pa.RecordBatch.from_arrays([pa.array(h[keep].view(np.int64)), pa.array(pos[keep] << 32 | size[at]), pa.array(before[keep]), pa.array(bits.view(np.int64)[at]), pa.array(d1[at])], names=["word", "at", "prev", "bits", "d1"])
 
         return step
 
-    return arrow_map(docs.select("text"), make, "word long, pos int, size int, d1 long, d2 long")
+    return arrow_map(docs.select("text"), make, "word long, at long, prev long, bits long, d1 long")
 
 
 def _sets(docs: DataFrame) -> DataFrame:
@@ -181,20 +203,48 @@ def _sets(docs: DataFrame) -> DataFrame:
 
 
 def _candidates(postings: DataFrame, least: int) -> DataFrame:
-    """Pairs of sets (p1, p2), (q1, q2) that pass the length and position filters at a shared prefix word."""
-    # one exchange by word serves the merge of repeated sets, the count and the filter
-    rows = postings.repartition("word").dropDuplicates(["word", "d1", "d2"])
-    rows = rows.withColumn("c", F.count(F.lit(1)).over(Window.partitionBy("word"))).filter("c > 1").drop("c")
-    rows = written(rows)
+    """Pairs (p, q) of set digests (64 bits) that pass the filters at a shared prefix word.
+
+    A smaller set needs a shorter prefix: its partner is no smaller, so they share at least
+    2 least / (100 + least) of it. Where the words before the shared one are also shared, the pair has come up
+    there; so a pair comes up once for each run of shared words.
+    """
+    # one exchange by word serves the merge of repeated sets and both sides of the join
+    rows = postings.repartition("word").dropDuplicates(["word", "d1"])
+    rows = rows.select("word", "prev", "bits", "d1", F.expr("int(shiftright(at, 32))").alias("pos"), F.expr("int(at & 4294967295)").alias("size"))
     a, b = rows.alias("a"), rows.alias("b")
-    need = F.ceil(least * (F.col("a.size") + F.col("b.size")) / (100 + least))
+    # a is the smaller one, by digest among equals
+    order = (F.col("a.size") < F.col("b.size")) | ((F.col("a.size") == F.col("b.size")) & (F.col("a.d1") < F.col("b.d1")))
+    short = F.col("a.pos") <= F.col("a.size") - F.ceil(2 * least * F.col("a.size") / (100 + least))
+    both_sizes = F.col("a.size") + F.col("b.size")
+    need = F.ceil(least * both_sizes / (100 + least))
     follow = F.least(F.col("a.size") - F.col("a.pos"), F.col("b.size") - F.col("b.pos"))
     # words before the shared one may also be shared: at most the lesser place of the two
     room = F.least("a.pos", "b.pos") + follow
-    lengths = 100 * F.least("a.size", "b.size") >= least * F.greatest("a.size", "b.size")
-    once = (F.col("a.d1") < F.col("b.d1")) | ((F.col("a.d1") == F.col("b.d1")) & (F.col("a.d2") < F.col("b.d2")))
-    pairs = a.join(b, (F.col("a.word") == F.col("b.word")) & once & lengths & (room >= need))
-    return pairs.select(F.col("a.d1").alias("p1"), F.col("a.d2").alias("p2"), F.col("b.d1").alias("q1"), F.col("b.d2").alias("q2")).distinct()
+    lengths = 100 * F.col("a.size") >= least * F.col("b.size")
+    # what the bits say differs can't be shared
+    alike = F.bit_count(F.col("a.bits").bitwiseXOR(F.col("b.bits"))) <= both_sizes - 2 * need
+    fresh = (F.col("a.prev") != F.col("b.prev")) | (F.col("a.pos") == 0) | (F.col("b.pos") == 0)
+    pairs = a.join(b, (F.col("a.word") == F.col("b.word")) & order & short & lengths & fresh & alike & (room >= need))
+    return pairs.select(F.col("a.d1").alias("p"), F.col("b.d1").alias("q")).distinct()
+
+
+def _verified(pairs: DataFrame, items: DataFrame, least: int) -> DataFrame:
+    """(p1, p2, q1, q2) of the pairs that are similar on their whole sets.
+
+    The sets travel with the pairs, so the pairs go in up to BLOCKS blocks, each written before the next.
+    """
+    blocks = min(BLOCKS, 1 + pairs.count() // 500_000)
+    out = None
+    for k in range(blocks):
+        some = pairs.filter(F.pmod(F.xxhash64("p"), F.lit(blocks)) == k)
+        both = some.join(items.toDF("p", "p2", "x"), "p").join(items.toDF("q", "q2", "y"), "q")
+        shared = F.size(F.array_intersect("x", "y"))
+        both = both.filter(100 * shared >= least * (F.size("x") + F.size("y") - shared)).select(F.col("p").alias("p1"), "p2", F.col("q").alias("q1"), "q2")
+        block = written(both)
+        out = block if out is None else out.unionAll(block)
+        release(pairs.sparkSession)
+    return out
 
 
 def line_matches(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS) -> DataFrame:
@@ -208,16 +258,12 @@ def line_matches(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS
     sets = written(sets.select("d1", "d2", "size", "f", "n"))
     held = docs.sparkSession.sparkContext.broadcast(rarity(docs))
     pairs = written(_candidates(_postings(docs, held, least, min_words), least))
-    ends = pairs.select(F.col("p1").alias("d1"), F.col("p2").alias("d2")).unionAll(pairs.select("q1", "q2")).distinct()
-    asked = written(ends.join(sets, ["d1", "d2"]).groupBy(F.col("f.doc_id").alias("doc_id")).agg(F.collect_set(F.col("f.line").cast("int")).alias("lines"), F.count(F.lit(1)).alias("n")))
+    ends = written(pairs.select(F.col("p").alias("d1")).unionAll(pairs.select("q")).distinct())
+    asked = written(ends.join(sets, "d1").groupBy(F.col("f.doc_id").alias("doc_id")).agg(F.collect_set(F.col("f.line").cast("int")).alias("lines"), F.count(F.lit(1)).alias("n")))
     few = (asked.agg(F.sum("n")).first()[0] or 0) <= BROADCAST_LINES
-    items = written(_sets(docs.join(F.broadcast(asked) if few else asked, "doc_id")).join(ends, ["d1", "d2"]))
-    left = items.toDF("p1", "p2", "x")
-    right = items.toDF("q1", "q2", "y")
-    both = pairs.join(left, ["p1", "p2"]).join(right, ["q1", "q2"])
-    shared = F.size(F.array_intersect("x", "y"))
-    matches = both.filter(100 * shared >= least * (F.size("x") + F.size("y") - shared)).select("p1", "p2", "q1", "q2")
-    matches = written(matches)
+    items = written(_sets(docs.join(F.broadcast(asked) if few else asked, "doc_id")))
+    release(docs.sparkSession)  # the postings' shuffle isn't needed any more
+    matches = _verified(pairs, items, least)
     matched = matches.toDF("o1", "o2", "d1", "d2").unionAll(matches.select("q1", "q2", "p1", "p2"))
     others = sets.select(F.col("d1").alias("o1"), F.col("d2").alias("o2"), F.col("f").alias("of"))
     per_set = matched.join(others, ["o1", "o2"]).groupBy("d1", "d2").agg(F.min("of").alias("m"), F.count(F.lit(1)).alias("links"))
