@@ -6,7 +6,8 @@ turns a near insult or threat into its denied form, reported speech turns what f
 quoted form, and a target beside it into its aimed form. Matched clauses, not single words, are then
 counted by form, and a logistic model fitted on labelled rows weighs the forms.
 
-The word lists below are the start; words that mark toxic labels in the training rows join the insults.
+The word lists below are the start; words that mark toxic labels in the training rows join the insults: those in
+at least SUPPORT toxic texts whose share there is 20 times their share in the others.
 Training takes at most SAMPLE labelled rows (those of smallest hash), none of them held out: rows whose
 crc32 of the id's decimal text is divisible by 5 never teach. labels, lang, source and doc_id are not
 inputs of a score.
@@ -32,6 +33,8 @@ from markerpanel.llm.common import arrow_map, sliced, strings, table
 
 #: Labelled rows that teach, at most.
 SAMPLE = 20_000
+#: Toxic texts of the sample that a word must stand in to join the lexicon.
+SUPPORT = 5
 SLICE = 1 << 20
 #: The grammar's terminals.
 INSULT = "idiot idiots moron morons stupid dumb loser losers scum trash garbage pathetic worthless disgusting clown clowns fool fools imbecile jerk filth vermin pig pigs ugly creep coward liar freak retard bastard bitch asshole dumbass scumbag".split(" ")
@@ -194,8 +197,8 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     if not sizes.get(0) or not sizes.get(1):
         return Model(lexicon, PRIOR)
     n1, n0 = sizes[1], sizes[0]
-    counts = words.groupBy("w").agg(F.sum("toxic").alias("a"), F.count(F.lit(1)).alias("n")).filter(f"a >= greatest(5, {0.08 * n1})")
-    # at most n1 / (0.08 n1) words a document on average pass; those that mark the label join
+    counts = words.groupBy("w").agg(F.sum("toxic").alias("a"), F.count(F.lit(1)).alias("n")).filter(f"a >= {SUPPORT}")
+    # the floor doesn't grow with the sample, so forms of one small language can pass too; the sample bounds the lexicon
     for r in counts.filter(f"(a + 0.5) / {n1} > 20 * (n - a + 0.5) / {n0}").collect():
         lexicon.setdefault(r.w, HIT)
     model = Model(lexicon, PRIOR)

@@ -55,3 +55,20 @@ def test_odd_rows(spark):
     got = tx.scored(df, labels).collect()
     assert sorted((r.doc_id or 0, r.predicted) for r in got) == [(0, 1), (1, 0), (1, 0), (3, 0)]
     assert tx.scored(df.limit(0), labels.limit(0)).count() == 0
+
+
+def test_held_out_recall_of_each_language(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    rows = tx.scored(docs.select("doc_id", "text"), labels).join(docs.select("doc_id", "lang"), "doc_id").join(labels.select("doc_id", "toxic"), "doc_id").filter("held_out").collect()
+    for lang in {r.lang for r in rows if r.toxic}:
+        toxic = [r.predicted for r in rows if r.toxic and r.lang == lang]
+        assert sum(toxic) >= 0.8 * len(toxic), lang
+    clean = [r.predicted for r in rows if not r.toxic]
+    assert sum(clean) <= 0.05 * len(clean)
+
+
+def test_lexicon_support_does_not_grow_with_the_sample(spark):
+    # 300 toxic texts, of which 6 hold the one marker of a small language
+    rows = [(k, f"zorpig case {k}" if k % 50 == 0 else f"idiot case {k}", 1) for k in range(375)] + [(k, f"fine case {k}", 0) for k in range(1000, 2000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    assert "zorpig" in tx.train(df, df).lexicon
