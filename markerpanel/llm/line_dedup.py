@@ -2,8 +2,7 @@
 
 A line is the set of its words (A-Z lower-cased). Two lines match if their Jaccard similarity is at
 least LEAST hundredths; a line that matches an earlier line (of a smaller doc_id, or higher up in the same
-document) is removed, whether or not the earlier one stays. Lines of fewer than MIN_WORDS distinct words
-are never removed.
+document) is removed, whether or not the earlier one stays. Lines without words are never removed.
 
 Equal sets collapse first, to their first line. The others meet by prefix filtering: words are ordered by
 rarity (counts over all lines, in a table of fixed size; ties by hash), and two similar sets share a
@@ -31,7 +30,8 @@ from markerpanel.llm import textbytes as tb
 from markerpanel.llm.common import NULL_ID, arrow_map, one_row_per_id, release, shown, sliced, strings, table, written
 
 LEAST = 80
-MIN_WORDS = 5
+#: Distinct words of a line that is looked at: any line that has words.
+MIN_WORDS = 1
 #: Size of the table of word counts by hash; the same for every corpus.
 RARITY_CELLS = 1 << 20
 CHUNK = 1 << 14
@@ -139,7 +139,7 @@ def _digests(line: np.ndarray, h: np.ndarray, n: int) -> list[np.ndarray]:
 
 
 def _postings(docs: DataFrame, held, least: int, min_words: int) -> DataFrame:
-    """word, at (pos << 32 | size), prev, bits, d1 for each prefix word of each set.
+    """word, at (pos << 32 | size), prev, bits, d1 for each prefix word of each set that another set can match.
 
     pos is the word's place in the order by rarity and prev the word before it (0 at the start); bits has bit b
     set if an odd number of words hash to b, so two sets differ in at least as many words as their bits.
@@ -162,7 +162,8 @@ def _postings(docs: DataFrame, held, least: int, min_words: int) -> DataFrame:
                 if len(sent) > SENT:
                     sent.clear()
                 fresh = np.zeros(len(owner), bool)
-                for k in np.flatnonzero(size >= min_words).tolist():
+                # n words are at most n / (n + 1) similar to any other set: smaller sets have only their copies
+                for k in np.flatnonzero((size >= min_words) & (100 * size >= least * (size + 1))).tolist():
                     key = hash((d1.item(k), d2.item(k)))
                     if key not in sent:
                         sent.add(key)

@@ -33,3 +33,30 @@ def test_against_brute_force(spark):
     assert got == want
     assert sum(v[1] for v in want.values()) > 20
     assert ld.deduplicated(docs.limit(0)).count() == 0
+
+
+def test_short_lines(spark):
+    rows = [
+        (1, "All rights reserved.\nfour words in it\nHome\n\n"),
+        (2, "all rights RESERVED.\nfour words in it too\nrights reserved.\n" + "no " * 40 + "yes maybe so"),
+        (3, "reserved. All rights\nhome\n\n \t" + "\nyes no maybe so " * 9),
+    ]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(2)
+    got = {r.doc_id: (r.text, r.n_lines, r.n_removed, r.n_links) for r in ld.deduplicated(docs).collect()}
+    # three words of four are 0.75 similar, four of five are 0.8; lines without words stay
+    assert got == {
+        1: (rows[0][1], 5, 0, 1),
+        2: ("rights reserved.\n" + "no " * 40 + "yes maybe so", 4, 2, 1),
+        3: ("\n \t", 13, 11, 0),
+    }
+    brute = ld.brute(rows)
+    assert {k: v[1:] for k, v in got.items()} == {k: v[:3] for k, v in brute.items()}
+
+
+def test_no_smaller_set_can_match(spark):
+    # sets of three words and fewer against their supersets and subsets, at several thresholds
+    lines = ["a", "a b", "a b c", "a b c d", "a b c d e", "b c d e", "x y", "y x", "x y z q r s t u v w", "x y z q r s t u v"]
+    rows = list(enumerate(lines))
+    for least in (50, 67, 75, 80, 90):
+        got = {r.doc_id: (r.n_lines, r.n_removed, r.n_links) for r in ld.deduplicated(spark.createDataFrame(rows, "doc_id long, text string"), least).collect()}
+        assert got == {k: v[:3] for k, v in ld.brute(rows, least).items()}, least
