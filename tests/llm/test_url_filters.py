@@ -46,3 +46,60 @@ def test_method_blocks_unwanted_hosts(spark):
     df = spark.createDataFrame([(k, f"http://{hosts[k % 7]}/en/{k}", "<p>the ther tion sh ering blog</p>") for k in range(140)], "page_id long, url string, html string")
     got = {(r.host, r.verdict) for r in uf.judged(df).collect()}
     assert got == {(h, "block" if k < 3 else "allow") for k, h in enumerate(hosts)}
+
+
+def plain_judged(rows):
+    """Whole results of rows (id, url, html) by plain Python, rules left out: {id: (host_words, score)}."""
+    import math
+    import re
+    from collections import Counter
+
+    counts = Counter(w for _, _, html in rows for w in re.split("[^a-z]+", (html or "").lower()) if 2 <= len(w) <= uf.LONGEST_WORD)
+    base = max(1, sum(counts.values()) // 10_000)
+    for w in (*uf.UNWANTED, *uf.PLAIN):
+        counts[w] = max(counts[w], base)
+    total = sum(counts.values())
+
+    def split(name):
+        best = [(0.0, [])]
+        for end in range(1, len(name) + 1):
+            steps = []
+            for k in range(max(0, end - uf.LONGEST_WORD), end):
+                w = name[k:end]
+                steps.append((best[k][0] + (math.log(total) - math.log(counts[w]) if counts[w] else math.log(total) + math.log(10) * len(w)), k))
+            cost, k = min(steps)
+            best.append((cost, best[k][1] + [name[k:end]]))
+        return best[-1][1]
+
+    words, seen, pages = {}, [Counter(), Counter()], [0, 0]
+    for k, url, _ in rows:
+        rest = (url or "").partition("://")[2]
+        host = re.match("[^/?#]*", rest).group()
+        path = re.match("[^?#]*", rest[len(host) :]).group().lower()
+        own = [w for label in host.lower().split(".")[:-1] for part in re.findall("[a-z]+", label) for w in split(part)]
+        words[k] = own, ["0" if w.isdigit() else w for w in re.findall("[a-z]+|[0-9]+", path)], host
+        hits = [w in uf.UNWANTED for w in own]
+        kind = sum(hits) >= 2 or (any(hits) and sum(w not in uf.PLAIN and len(w) > 1 for w in own) <= 3)
+        pages[kind] += 1
+        seen[kind].update(own + words[k][1])
+    v, n = len({*seen[0], *seen[1]}) + 1, [sum(c.values()) for c in seen]
+    score = lambda ws: math.log(pages[1] + 1) - math.log(pages[0] + 1) + sum(math.log((seen[1][w] + 1) / (n[1] + v)) - math.log((seen[0][w] + 1) / (n[0] + v)) for w in ws)
+    return {k: (own, score(own + path) if own else -1.0) for k, (own, path, host) in words.items()}
+
+
+def test_rare_words_count_whatever_is_broadcast(spark, monkeypatch):
+    import random
+
+    rng = random.Random(3)
+    vocabulary = ["".join(rng.choice("abcdeilnorst") for _ in range(rng.randrange(2, 8))) for _ in range(300)]
+    pick = lambda: vocabulary[min(299, int(rng.paretovariate(0.5)))]
+    rows = [(k, f"http://www.{pick()}{pick()}{rng.choice(['', 'casino', 'free', '-' + pick()])}.{pick()}.org/{pick()}/{rng.choice([pick(), str(k)])}?x", "<p>" + " ".join(pick() for _ in range(30))) for k in range(200)]
+    rows += [(200, None, None), (201, rows[3][1], "")]
+    want = plain_judged(rows)
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    for size in (uf.VOCABULARY, 40, 1):
+        monkeypatch.setattr(uf, "VOCABULARY", size)
+        got = {r.page_id: (r.host_words, r.score) for r in uf.judged(df).collect()}
+        assert got.keys() == want.keys()
+        for k, (own, score) in want.items():
+            assert got[k][0] == own and abs(got[k][1] - score) < 1e-9, (size, k)
