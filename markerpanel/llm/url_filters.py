@@ -9,7 +9,8 @@ Both models are tables of all words. The most frequent words are also broadcast;
 them (substrings of distinct host labels, words of hosts and paths) is looked up by shuffled joins, so the size
 of the broadcast changes no result.
 
-Defined cases: a null url, or one without ://, has an empty host and path, fits no rule and is allowed;
+Defined cases: a null url, or one without ://, has an empty host and path; a url with an empty host fits no rule,
+scores -1 and is allowed; a host without a-z words (an IP address, another script, one label) is judged by its path;
 urls of any length are judged whole; repeated rows and null ids give one row each; other columns are
 ignored; an empty table gives an empty result (the model is then its prior).
 """
@@ -283,9 +284,9 @@ def judged(pages: DataFrame, rules=RULES) -> DataFrame:
 
         def step(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             scores = []
-            for path, own, more in zip(*(batch.column(k).to_pylist() for k in (2, 4, 5)), strict=True):
+            for host, path, own, more in zip(*(batch.column(k).to_pylist() for k in (1, 2, 4, 5)), strict=True):
                 known = {x["w"]: (x["a"], x["b"]) for x in more} if more else None
-                scores.append(model.log_odds(own + path_words(path), known) if own else -1.0)
+                scores.append(model.log_odds(own + path_words(path), known) if host else -1.0)
             yield pa.RecordBatch.from_arrays([*batch.columns[:5], pa.array(scores, pa.float64())], names=["page_id", "host", "path", "rule", "host_words", "score"])
 
         return step

@@ -84,7 +84,7 @@ def plain_judged(rows):
         seen[kind].update(own + words[k][1])
     v, n = len({*seen[0], *seen[1]}) + 1, [sum(c.values()) for c in seen]
     score = lambda ws: math.log(pages[1] + 1) - math.log(pages[0] + 1) + sum(math.log((seen[1][w] + 1) / (n[1] + v)) - math.log((seen[0][w] + 1) / (n[0] + v)) for w in ws)
-    return {k: (own, score(own + path) if own else -1.0) for k, (own, path, host) in words.items()}
+    return {k: (own, score(own + path) if host else -1.0) for k, (own, path, host) in words.items()}
 
 
 def test_rare_words_count_whatever_is_broadcast(spark, monkeypatch):
@@ -103,3 +103,17 @@ def test_rare_words_count_whatever_is_broadcast(spark, monkeypatch):
         assert got.keys() == want.keys()
         for k, (own, score) in want.items():
             assert got[k][0] == own and abs(got[k][1] - score) < 1e-9, (size, k)
+
+
+def test_hosts_without_words_are_judged_by_their_path(spark):
+    bad, good = "/free/casino/bets", "/the/daily/report"
+    rows = [(k, f"http://{h}{p}", "<p>the daily report") for k, (h, p) in enumerate([("freebets.example.org", bad), ("www.thether.org", good)] * 40)]
+    odd = ["10.1.2.3", "[2001:db8::1]", "пример.рф", "localhost"]
+    rows += [(100 + k, f"http://{h}{p}", None) for k, (h, p) in enumerate((h, p) for h in odd for p in (bad, good))]
+    rows += [(200, None, None), (201, "http:///free/casino/bets", None), (202, "no scheme /free/casino/bets", None)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    want = plain_judged(rows)
+    got = {r.page_id: r for r in uf.judged(df).collect()}
+    assert all(abs(got[k].score - score) < 1e-9 for k, (_, score) in want.items())
+    assert [got[100 + k].verdict for k in range(8)] == ["block", "allow"] * 4
+    assert all((got[k].verdict, got[k].score) == ("allow", -1.0) for k in (200, 201, 202))
