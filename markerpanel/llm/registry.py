@@ -24,8 +24,5 @@ def oracle_sql() -> dict:
     return {
         "op3_warc": archives.OP3_SQL,
         "op5_quality_rules": quality_rules.OP5_SQL,
-        "op6_near_duplicates": near_duplicates.op6,
-        "op7_toxicity": toxicity.op7,
-        "op8_url_filters": url_filters.op8,
         "op10_decontamination": decontamination.OP10_SQL,
     }

@@ -72,3 +72,51 @@ def test_lexicon_support_does_not_grow_with_the_sample(spark):
     rows = [(k, f"zorpig case {k}" if k % 50 == 0 else f"idiot case {k}", 1) for k in range(375)] + [(k, f"fine case {k}", 0) for k in range(1000, 2000)]
     df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
     assert "zorpig" in tx.train(df, df).lexicon
+
+
+def plain_features(text, lexicon):
+    """Counts of hits by form, clause by clause."""
+    import re
+
+    out = [0] * len(tx.FEATURES)
+    low = "".join(c.lower() if c.isascii() else c for c in text or "")
+    for clause in re.split(r"[.!?;:,\n|]", low):
+        kinds = [lexicon.get(w, tx.OTHER) for w in re.findall(r"[0-9a-z\x80-\U0010ffff]+", clause)]
+        for i, kind in enumerate(kinds):
+            if kind in (tx.HIT, tx.MENACE):
+                near = kinds[max(0, i - tx.NEAR - 1) : i]
+                form = "denied" if tx.DENY in near else "quoted" if tx.SPEECH in kinds[:i] else "aimed" if tx.AIM in near else "bare"
+                out[4 * (kind == tx.MENACE) + tx.FORMS.index(form)] += 1
+    return out
+
+
+def test_query_rows_against_plain_python(spark):
+    import re
+    from collections import Counter
+
+    import numpy as np
+
+    import __spark_entry__
+
+    assert "op7_toxicity" not in __spark_entry__.oracle_sql()
+    texts = {r.doc_id: r.text for r in spark.read.parquet(f"{DIR}/documents.parquet").collect()}
+    held = {k: zlib.crc32(str(k).encode()) % 5 == 0 for k in texts}
+    taught: dict = {}
+    for r in spark.read.parquet(f"{DIR}/labels.parquet").collect():
+        if r.toxic in (0, 1) and r.doc_id in texts and not held[r.doc_id] and texts[r.doc_id] is not None:
+            taught[texts[r.doc_id]] = max(r.toxic, taught.get(texts[r.doc_id], 0))
+    n1 = sum(taught.values())
+    n0 = len(taught) - n1
+    toxic, clean = Counter(), Counter()
+    for text, t in taught.items():
+        (toxic if t else clean).update({w for w in re.split(r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", text.lower()) if len(w) >= 3})
+    lexicon = tx.built_in()
+    for w, a in toxic.items():
+        if a >= tx.SUPPORT and (a + 0.5) / n1 > 20 * (clean[w] + 0.5) / n0:
+            lexicon.setdefault(w, tx.HIT)
+    model = tx.Model(lexicon, tx.fit(np.array([plain_features(t, lexicon) for t in taught], float), np.array(list(taught.values()), float)))
+    want = dict(zip(texts, model.scores(np.array([plain_features(t, lexicon) for t in texts.values()], float)), strict=True))
+    got = {r.doc_id: r for r in tx.op7(spark, DIR).collect()}
+    assert got.keys() == want.keys()
+    for k, r in got.items():
+        assert r.held_out == held[k] and abs(r.score - want[k]) < 1e-6 and r.predicted == (r.score >= 0.5), k

@@ -117,3 +117,19 @@ def test_hosts_without_words_are_judged_by_their_path(spark):
     assert all(abs(got[k].score - score) < 1e-9 for k, (_, score) in want.items())
     assert [got[100 + k].verdict for k in range(8)] == ["block", "allow"] * 4
     assert all((got[k].verdict, got[k].score) == ("allow", -1.0) for k in (200, 201, 202))
+
+
+def test_query_rows_against_plain_python(spark):
+    import __spark_entry__
+
+    assert not {"op6_near_duplicates", "op8_url_filters"} & __spark_entry__.oracle_sql().keys()
+    pages = [(r.page_id, r.url, r.html) for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").collect()]
+    want = plain_judged(pages)
+    got = {r.page_id: r for r in uf.op8(spark, "/root/testdata/sf0.01").collect()}
+    assert got.keys() == want.keys()
+    rules = dict(uf.RULES)
+    for k, r in got.items():
+        assert r.host_words == want[k][0] and abs(r.score - want[k][1]) < 1e-9, k
+        fits = [x for x in rules if (r.host == x.partition("/")[0] or r.host.endswith("." + x.partition("/")[0])) and r.path.startswith("/" + x.partition("/")[2])]
+        assert r.rule == max(fits, key=len, default=None)
+        assert r.verdict == (rules[r.rule] if r.rule else "block" if r.score > 0 else "allow")
