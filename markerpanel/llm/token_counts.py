@@ -8,7 +8,8 @@ token count. States and transitions are built when first met and then only looke
 
 Texts are cut into chunks where the upper part is sure to be in its start state (before white space
 that follows another character). Each chunk has a state map, from entry state to exit state and count;
-maps compose associatively, so the count of a text is a prefix scan over its chunks.
+maps compose associatively. As chunks begin and end in the start state, composing adds their counts: the
+count of a text is the sum over its chunks, and scan() isn't on the query's path.
 
 Rows stand alone: null or empty texts have 0 tokens; texts of any length are read whole; repeated rows
 and null ids give one row each; other columns are ignored; an empty table gives an empty result.
