@@ -30,7 +30,7 @@ def wide(panel: Panel, d: int = 1) -> tuple[DataFrame, list[tuple[str, int | Non
 
 
 def materialized(command: str, panel: Panel, d: int = 1, alpha: float = 0.05) -> DataFrame:
-    """freq, distrib, signif, depth or subset over the materialised matrix, one test per marker."""
+    """freq, distrib, signif or depth over the materialised matrix, one test per marker."""
     table, cols = wide(panel, d)
     n1, n2 = panel.sizes()
     count = lambda g: sum(((F.col(c) >= d).cast("int") for c, own in cols if g is None or own == g), F.lit(0)).cast("int")
