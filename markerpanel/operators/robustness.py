@@ -166,9 +166,12 @@ def tune_triage(lat: DataFrame, n1: int, n2: int, trials: int = 50, seed: int =
     return sorted(out, key=lambda t: -t["f1"])
 
 
-def empirical_error_rates(panel: Panel, d: int = 1, reps: int = 20, seed: int = 1, alpha: float = 0.05) -> DataFrame:
+def empirical_error_rates(panel: Panel, d: int = 1, reps: int = 20, seed: int = 1, alpha: float = 0.05, truth=None) -> DataFrame:
     """rep, calls: strict calls with group labels permuted by a seeded hash; their share of reps with a call is the
-    family-wise error rate reached. One scan: every repetition is a pair of counts per marker."""
+    family-wise error rate reached. One scan: every repetition is a pair of counts per marker.
+
+    With truth (a boolean column of marker) rep -1 has the labels as they are, and false_calls and fdr (their share of
+    the calls, 0 without calls) are added; under permuted labels every call is false."""
     members = [(m, g) for m, g in panel.members() if g is not None]
     n1, n2 = panel.sizes()
     import random
@@ -178,11 +181,19 @@ def empirical_error_rates(panel: Panel, d: int = 1, reps: int = 20, seed: int =
         labels = [g for _, g in members]
         random.Random(seed * 1000 + rep).shuffle(labels)
         rows += [(rep, m, g) for (m, _), g in zip(members, labels, strict=True)]
+    if truth is not None:
+        rows += [(-1, m, g) for m, g in members]
     kind = panel.groups.schema["ind"].dataType.simpleString()
     shuffled = panel.cells.sparkSession.createDataFrame(rows, f"rep int, ind {kind}, grp int")
     hits = panel.cells.filter(F.col("depth") >= d).join(F.broadcast(shuffled), "ind")
     counts = hits.groupBy("rep", "marker").agg(F.count_if(F.expr("grp = 1")).cast("int").alias("g1"), F.count_if(F.expr("grp = 2")).cast("int").alias("g2"))
-    lat = counts.groupBy("rep", "g1", "g2").agg(F.count(F.lit(1)).alias("n_markers"))
+    real = F.lit(False) if truth is None else (F.col("rep") < 0) & truth
+    lat = counts.groupBy("rep", "g1", "g2", real.alias("real")).agg(F.count(F.lit(1)).alias("n_markers"))
     n = lat.groupBy("rep").agg(F.sum("n_markers").alias("n_tests"))
     p = lat.join(F.broadcast(n), "rep").withColumn("p", k.p_value("yates", "g1", "g2", n1, n2))
-    return p.groupBy("rep").agg(F.coalesce(F.sum(F.when(F.col("p") < alpha / F.col("n_tests"), F.col("n_markers"))), F.lit(0)).alias("calls"))
+    called = F.col("p") < alpha / F.col("n_tests")
+    total = lambda which, name: F.coalesce(F.sum(F.when(which, F.col("n_markers"))), F.lit(0)).alias(name)
+    if truth is None:
+        return p.groupBy("rep").agg(total(called, "calls"))
+    out = p.groupBy("rep").agg(total(called, "calls"), total(called & ~F.col("real"), "false_calls"))
+    return out.withColumn("fdr", F.when(F.col("calls") > 0, F.col("false_calls") / F.col("calls")).otherwise(0.0))

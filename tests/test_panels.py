@@ -160,3 +160,15 @@ def test_streams(spark, tmp_path):
     q.stop()
     sink(events(spark, SMALL).select(F.col("event_type").alias("marker"), F.col("user_id").alias("ind")), 0)  # a repeated batch changes nothing
     assert spark.read.parquet(f"{tmp_path}/t/cells").agg(F.sum("depth")).first()[0] == events(spark, SMALL).count()
+
+
+def test_registered_studies_run_whole(spark):
+    from markerpanel.workloads import QUERIES
+
+    d = "/root/testdata/sf0.001"
+    assert QUERIES["fmt6_check"](spark, d).first().points == 1_000_000
+    assert QUERIES["m34_tuning"](spark, d).count() == 50
+    rows = {r.rep: r for r in QUERIES["c20_error_rates"](spark, d).collect()}
+    assert rows.keys() == set(range(-1, 20))
+    assert all(r.false_calls == r.calls for k, r in rows.items() if k >= 0)
+    assert rows[-1].calls >= rows[-1].false_calls and all(r.fdr == (r.false_calls / r.calls if r.calls else 0) for r in rows.values())
