@@ -20,11 +20,19 @@ def dna_letters(text) -> Column:
     return F.translate(F.regexp_replace(F.lower(col(text)), "[^a-z]", ""), ALPHABET, "".join(LETTERS[i % 4] for i in range(26)))
 
 
+def let(value, body) -> Column:
+    """body(value), with value computed once a row even where body uses it many times or inside lambdas."""
+    return F.transform(F.array(col(value)), body)[0]
+
+
+def _cut(seq: Column, pattern: str, group: int = 0) -> Column:
+    """All matches of a pattern, found in one pass from left to right; null gives an empty array."""
+    return F.coalesce(F.regexp_extract_all(seq, F.lit(pattern), F.lit(group)), F.array().cast("array<string>"))
+
+
 def pieces(seq, size: int) -> Column:
     """Consecutive pieces of a sequence; a remainder is dropped."""
-    s = col(seq)
-    n = F.floor(F.length(s) / size).cast("int")
-    return F.when(n > 0, F.transform(F.sequence(F.lit(0), F.greatest(n, F.lit(1)) - 1), lambda i: F.substring(s, i * size + 1, F.lit(size)))).otherwise(F.array().cast("array<string>"))
+    return _cut(col(seq), f"(?s).{{{size}}}")
 
 
 def is_dna(seq) -> Column:
@@ -33,20 +41,26 @@ def is_dna(seq) -> Column:
 
 def pack_tag(seq) -> Column:
     """Header byte (length mod 4), then two bits a base, first base highest, zero padding. BINARY."""
-    s = col(seq)
-    n = F.length(s)
-    padded = F.rpad(F.translate(s, LETTERS, "0123"), F.floor((n + 3) / 4).cast("int") * 4, F.lit("0"))
-    quads = F.transform(F.sequence(F.lit(0), F.greatest(F.floor((n + 3) / 4).cast("int"), F.lit(1)) - 1), lambda j: F.lpad(F.conv(F.substring(padded, j * 4 + 1, F.lit(4)), 4, 16), 2, "0"))
-    return F.unhex(F.concat(F.lpad(F.hex(n % 4), 2, "0"), F.when(n > 0, F.array_join(quads, "")).otherwise(F.lit(""))))
+
+    def packed(s: Column) -> Column:
+        n = F.length(s)
+        padded = F.rpad(F.translate(s, LETTERS, "0123"), F.floor((n + 3) / 4).cast("int") * 4, F.lit("0"))
+        # 32 bases are one unsigned 64-bit number
+        words = F.transform(_cut(padded, ".{1,32}"), lambda w: F.lpad(F.conv(w, 4, 16), F.floor(F.length(w) / 2).cast("int"), F.lit("0")))
+        return F.when(n.isNotNull(), F.unhex(F.concat(F.lpad(F.hex(n % 4), 2, "0"), F.array_join(words, ""))))
+
+    return let(seq, packed)
 
 
 def unpack_tag(packed) -> Column:
-    h = F.hex(col(packed))
-    n_bytes = F.octet_length(col(packed)) - 1
-    rest = F.conv(F.substring(h, 1, 2), 16, 10).cast("int")
-    length = n_bytes * 4 - F.when(rest == 0, F.lit(0)).otherwise(4 - rest)
-    quads = F.transform(F.sequence(F.lit(0), F.greatest(n_bytes, F.lit(1)) - 1), lambda j: F.lpad(F.conv(F.substring(h, j * 2 + 3, F.lit(2)), 16, 4), 4, "0"))
-    return F.when(n_bytes > 0, F.substring(F.translate(F.array_join(quads, ""), "0123", LETTERS), F.lit(1), length)).otherwise(F.lit(""))
+    def bases(h: Column) -> Column:
+        n_bytes = F.floor(F.length(h) / 2) - 1
+        rest = F.conv(F.substring(h, 1, 2), 16, 10).cast("int")
+        length = (n_bytes * 4 - F.when(rest == 0, F.lit(0)).otherwise(4 - rest)).cast("int")
+        words = F.transform(_cut(F.substring(h, F.lit(3), F.length(h)), ".{1,16}"), lambda w: F.lpad(F.conv(w, 16, 4), F.length(w) * 2, F.lit("0")))
+        return F.when(h.isNotNull(), F.substring(F.translate(F.array_join(words, ""), "0123", LETTERS), F.lit(1), length))
+
+    return let(F.hex(col(packed)), bases)
 
 
 def revcomp(seq) -> Column:
@@ -57,9 +71,7 @@ def kmers(seq, k: int) -> Column:
     """All windows of k bases, left to right; empty if the sequence is shorter."""
     if not 1 <= k <= 32:
         raise PanelError(f"k must be in 1..32, got {k}")
-    s = col(seq)
-    n = F.length(s) - k + 1
-    return F.when(n > 0, F.transform(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.substring(s, i, F.lit(k)))).otherwise(F.array().cast("array<string>"))
+    return _cut(col(seq), f"(?s)(?=(.{{{k}}}))", 1)
 
 
 def canonical_kmer(kmer) -> Column:
