@@ -4,12 +4,20 @@ A line is the set of its words (A-Z lower-cased). Two lines match if their Jacca
 least LEAST hundredths; a line that matches an earlier line (of a smaller doc_id, or higher up in the same
 document) is removed, whether or not the earlier one stays. Lines without words are never removed.
 
-Equal sets collapse first, to their first line. The others meet by prefix filtering: words are ordered by
+Equal sets collapse to their first line by digest. The others meet by prefix filtering: words are ordered by
 rarity (counts over all lines, in a table of fixed size; ties by hash), and two similar sets share a
-word among the first n - ceil(LEAST n / 100) + 1 of each. Length and position filters drop pairs before
-anything is compared: each shared prefix word tells how many words can still be shared. A third filter
-compares 64 parity bits of the sets, which can't differ in more places than the sets do. All are exact. The rest is verified on the whole sets, which
-travel only for lines that are in such a pair.
+word among the first n - ceil(LEAST n / 100) + 1 of each. The lines of one prefix word are read in order of
+place, and each is held against the earlier ones by length, by position and by 128 parity bits (two sets
+differ in at least as many words as their bits). All filters are exact.
+
+One earlier match is enough to remove a line, so each line and prefix word keep one row that lists up to MOST
+of the candidates, nearest by parity first: rows grow with the lines, not with the square of a group of near
+copies. Candidates are verified on whole sets in rounds: first the nearest of each row; for lines that are still
+unmatched the rest of the list; for lines whose list was full, all candidates, by another pass. No candidate
+is given up while its line is unmatched. A line's further matches aren't looked for once it has one.
+
+A word in more than GROUP lines is dealt over blocks: its lines fall into chunks by hash, and each pair of chunks
+is a group of its own, so no group holds more than about two chunks.
 
 Defined cases: a null or empty text has one line without words and stays; rows that repeat an id are
 merged first (the greatest text stays); a null id is an id of its own, before all others; other columns
@@ -38,10 +46,14 @@ CHUNK = 1 << 14
 SLICE = 1 << 20
 #: Sets a task remembers as sent (bounds its memory only; results stay the same).
 SENT = 300_000
-#: Lines to be compared up to this many are broadcast as places (12 bytes each); more are joined by shuffle.
-BROADCAST_LINES = 1_000_000
-#: Blocks of pairs that are verified one after another, at most.
-BLOCKS = 8
+#: Candidates that one row lists; lines with more get a pass of their own if these don't settle them.
+MOST = 16
+#: Lines of a word that one chunk of its group holds, about.
+GROUP = 1 << 16
+#: Rows that a task puts together before it compares them.
+ROWS = 1 << 18
+#: Lines or documents up to this many are broadcast (under 100 bytes each); more are joined by shuffle.
+BROADCAST_ROWS = 400_000
 _NEWLINE = np.array([b == 10 for b in range(256)])
 
 
@@ -64,13 +76,50 @@ def _line_words(texts: pa.Array):
     return line, h, owner, number
 
 
-def _distinct(line: np.ndarray, h: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(line, word) without repeats, each line's words by ``key`` then hash."""
-    order = np.lexsort((h, key, line))
-    line, h = line[order], h[order]
+def _distinct(line: np.ndarray, h: np.ndarray, mark: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(line, word) without repeats, each line's words by ``mark`` (a byte) then hash.
+
+    One sort of a number that holds line, mark and the first bits of the hash; only if two words of a line agree in
+    all of it is the slice sorted by the whole keys.
+    """
+    if not len(h):
+        return line, h
+    room = 64 - max(1, int(line[-1]).bit_length() if np.all(line[:-1] <= line[1:]) else int(line.max()).bit_length())
+    whole = line.astype(np.uint64) << np.uint64(room)
+    if mark is not None:
+        whole |= mark.astype(np.uint64) << np.uint64(room - 8)
+        room -= 8
+    whole |= h >> np.uint64(64 - room)
+    order = np.argsort(whole)
+    at, word = whole[order], h[order]
+    if np.any((at[1:] == at[:-1]) & (word[1:] != word[:-1])):
+        order = np.lexsort((h, line) if mark is None else (h, mark, line))
+        word = h[order]
+    line = line[order]
     fresh = np.ones(len(line), bool)
-    fresh[1:] = (line[1:] != line[:-1]) | (h[1:] != h[:-1])
-    return line[fresh], h[fresh]
+    fresh[1:] = (line[1:] != line[:-1]) | (word[1:] != word[:-1])
+    return line[fresh], word[fresh]
+
+
+def _per_line(combine: np.ufunc, values: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """One number a line from its words' values, which stand line by line; 0 for lines without words."""
+    out = np.zeros(len(size), np.uint64)
+    some = np.flatnonzero(size)
+    if len(some):
+        out[some] = combine.reduceat(values, (np.cumsum(size) - size)[some])
+    return out
+
+
+def _digests(h: np.ndarray, size: np.ndarray) -> list[np.ndarray]:
+    """128 bits of each line's set, as two columns."""
+    return [_per_line(np.add, tb.mixed(h ^ np.uint64(salt)), size).view(np.int64) for salt in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)]
+
+
+def _parity(h: np.ndarray, size: np.ndarray) -> list[np.ndarray]:
+    """128 bits of each line: bit b is set if an odd number of its words hash to b."""
+    cell = tb.mixed(h) >> np.uint64(57)
+    one = np.uint64(1) << (cell & np.uint64(63))
+    return [_per_line(np.bitwise_xor, np.where(half, one, np.uint64(0)), size).view(np.int64) for half in (cell < 64, cell >= 64)]
 
 
 def _slices(col: pa.Array) -> Iterator[tuple[int, int]]:
@@ -88,16 +137,20 @@ def rarity(docs: DataFrame) -> np.ndarray:
         for batch in batches:
             col = strings(batch.column(0))
             for lo, hi in _slices(col):
-                h = _line_words(col.slice(lo, hi - lo))[1]
+                data, offsets = tb.buffer(col.slice(lo, hi - lo))
+                data = tb.lowered(data)
+                h = tb.span_hashes(data, *tb.words(data, offsets, tb.NOT_GAP)[:2])
                 total += np.bincount((h % np.uint64(RARITY_CELLS)).astype(np.int64), minlength=RARITY_CELLS)
-        chunks = [total[k : k + CHUNK].tobytes() for k in range(0, RARITY_CELLS, CHUNK)]
-        yield pa.RecordBatch.from_arrays([pa.array(range(len(chunks)), pa.int32()), pa.array(chunks, pa.binary())], names=["chunk", "n"])
+        total = np.minimum(total, 2**32 - 1).astype(np.uint32)
+        chunks = [total[k : k + CHUNK].tobytes() for k in range(0, RARITY_CELLS, CHUNK) if total[k : k + CHUNK].any()]
+        at = [k // CHUNK for k in range(0, RARITY_CELLS, CHUNK) if total[k : k + CHUNK].any()]
+        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), pa.array(chunks, pa.binary())], names=["chunk", "n"])
 
     def add(batches):
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
             for chunk, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                sums[chunk] = sums.get(chunk, 0) + np.frombuffer(n, np.int64)
+                sums[chunk] = sums.get(chunk, 0) + np.frombuffer(n, np.uint32).astype(np.int64)
         if sums:
             marks = [np.minimum(255, np.log2(v + 1) * 8).astype(np.uint8).tobytes() for v in sums.values()]
             yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array(marks, pa.binary())], names=["chunk", "n"])
@@ -109,190 +162,299 @@ def rarity(docs: DataFrame) -> np.ndarray:
     return out
 
 
-def _lines(docs: DataFrame, min_words: int) -> DataFrame:
-    """doc_id, line, size, d1, d2: every line of at least min_words distinct words, by digests of its set."""
+def _chunks(marks: np.ndarray, group: int) -> np.ndarray:
+    """Into how many chunks the lines of words are dealt, from their counts' upper bounds."""
+    return np.maximum(1, np.ceil(2 ** ((marks.astype(float) + 1) / 8) / group)).astype(np.int64)
 
-    def make():
-        def step(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            col = strings(batch.column(1))
-            for lo, hi in _slices(col):
-                line, h, owner, number = _line_words(col.slice(lo, hi - lo))
-                line, h = _distinct(line, h, np.zeros(len(h), np.int8))
-                size = np.bincount(line, minlength=len(owner))
-                digests = _digests(line, h, len(owner))
-                keep = np.flatnonzero(size >= min_words)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo).take(pa.array(owner[keep])), pa.array(number[keep]), pa.array(size[keep]), *(pa.array(d[keep]) for d in digests)], names=["doc_id", "line", "size", "d1", "d2"])
-
-        return step
 
-    return arrow_map(docs, make, "doc_id long, line long, size long, d1 long, d2 long")
+def _lines(docs: DataFrame, held, least: int, min_words: int, group: int) -> DataFrame:
+    """doc_id, line, size, d1, d2 (digest of the set) of every line of at least min_words distinct words.
 
-
-def _digests(line: np.ndarray, h: np.ndarray, n: int) -> list[np.ndarray]:
-    """128 bits of each line's set, as two columns."""
-    out = []
-    for salt in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F):
-        d = np.zeros(n, np.uint64)
-        np.add.at(d, line, tb.mixed(h ^ np.uint64(salt)))
-        out.append(d.view(np.int64))
-    return out
-
-
-def _postings(docs: DataFrame, held, least: int, min_words: int) -> DataFrame:
-    """word, at (pos << 32 | size), prev, bits, d1 for each prefix word of each set that another set can match.
-
-    pos is the word's place in the order by rarity and prev the word before it (0 at the start); bits has bit b
-    set if an odd number of words hash to b, so two sets differ in at least as many words as their bits.
-
-    A task passes over sets that it has just sent, so frequent lines are thinned before the shuffle; what
-    several tasks send is merged after it.
+    keys: the line's prefix words, rarest first, where another set can match it, and b1, b2, its parity bits; places:
+    the keys' places in the order, null if they are 0, 1, 2, ... A task passes over sets that it has just sent
+    (keys is null then), so frequent lines are thinned before the shuffle; what several tasks send meets after it.
     """
 
     def make():
         counts = held.value
         sent: set[int] = set()
 
+        def dealt(words: np.ndarray, blocks: np.ndarray, seed: int) -> tuple[list[int], list[int]]:
+            """Keys and places of a line with a word that many lines have: one key for each pair of chunks that it is in."""
+            keys, places = [], []
+            for p, (w, g) in enumerate(zip(words.tolist(), blocks.tolist(), strict=True)):
+                own = seed % g
+                pairs = np.array([min(own, t) * g + max(own, t) for t in range(g)], np.uint64) if g > 1 else np.zeros(1, np.uint64)
+                new = tb.mixed(np.uint64(w) ^ tb.mixed(pairs * np.uint64(2) + np.uint64(1))) if g > 1 else np.array([w], np.uint64)
+                keys += new.view(np.int64).tolist()
+                places += [p] * len(new)
+            return keys, places
+
         def step(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            col = strings(batch.column(0))
+            col = strings(batch.column(1))
+            ids = batch.column(0).to_numpy(zero_copy_only=False)
             for lo, hi in _slices(col):
-                line, h, owner, _ = _line_words(col.slice(lo, hi - lo))
-                line, h = _distinct(line, h, counts[(h % np.uint64(RARITY_CELLS)).astype(np.int64)])
+                line, h, owner, number = _line_words(col.slice(lo, hi - lo))
+                mark = counts[(h % np.uint64(RARITY_CELLS)).astype(np.int64)]
+                line, h = _distinct(line, h, mark)
+                mark = counts[(h % np.uint64(RARITY_CELLS)).astype(np.int64)]
                 size = np.bincount(line, minlength=len(owner))
-                d1, d2 = _digests(line, h, len(owner))
+                d1, d2 = _digests(h, size)
+                b1, b2 = _parity(h, size)
+                keep = np.flatnonzero(size >= min_words)
                 if len(sent) > SENT:
                     sent.clear()
                 fresh = np.zeros(len(owner), bool)
                 # n words are at most n / (n + 1) similar to any other set: smaller sets have only their copies
-                for k in np.flatnonzero((size >= min_words) & (100 * size >= least * (size + 1))).tolist():
-                    key = hash((d1.item(k), d2.item(k)))
+                able = keep[100 * size[keep] >= least * (size[keep] + 1)]
+                for k, x, y in zip(able.tolist(), d1[able].tolist(), d2[able].tolist(), strict=True):
+                    key = hash((x, y))
                     if key not in sent:
                         sent.add(key)
                         fresh[k] = True
-                bits = np.zeros(len(owner), np.uint64)
-                np.bitwise_xor.at(bits, line, np.uint64(1) << (tb.mixed(h) >> np.uint64(58)))
-                pos = np.arange(len(line)) - (np.cumsum(size) - size)[line]
-                prefix = size - -(-least * size // 100) + 1
-                keep = np.flatnonzero((pos < prefix[line]) & fresh[line])
-                at = line[keep]
-                before = np.where(pos == 0, 0, np.roll(h.view(np.int64), 1))
-                yield pa.RecordBatch.from_arrays([pa.array(h[keep].view(np.int64)), pa.array(pos[keep] << 32 | size[at]), pa.array(before[keep]), pa.array(bits.view(np.int64)[at]), pa.array(d1[at])], names=["word", "at", "prev", "bits", "d1"])
+                start = np.cumsum(size) - size
+                prefix = np.where(fresh, size - -(-least * size // 100) + 1, 0)
+                at = np.arange(len(line)) - start[line]
+                inside = at < prefix[line]
+                blocks = _chunks(mark, group) if group < 1 << 30 else np.ones(len(h), np.int64)
+                hot = np.zeros(len(owner), bool)
+                hot[line[inside & (blocks > 1)]] = True
+                words = h[inside].view(np.int64)
+                ends = np.cumsum(prefix)
+                places: list = [None] * len(keep)
+                if not hot.any():
+                    keys = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(prefix[keep])]), pa.int32()), pa.array(words))
+                else:
+                    lists = [words[ends[k] - prefix[k] : ends[k]].tolist() for k in keep]
+                    for i, k in enumerate(keep.tolist()):
+                        if hot[k]:
+                            own = slice(start[k], start[k] + prefix[k])
+                            seed = int(tb.mixed(np.array([int(ids[lo + owner[k]]) & (2**64 - 1), number[k]], np.uint64)).sum())
+                            lists[i], places[i] = dealt(h[own], blocks[own], seed)
+                    keys = pa.array(lists, pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(ids[lo + owner[keep]]), *(pa.array(c[keep]) for c in (number, size, d1, d2, b1, b2)), keys, pa.array(places, pa.list_(pa.int32()))],
+                    names=["doc_id", "line", "size", "d1", "d2", "b1", "b2", "keys", "places"],
+                )
 
         return step
 
-    return arrow_map(docs.select("text"), make, "word long, at long, prev long, bits long, d1 long")
+    return arrow_map(docs, make, "doc_id long, line long, size long, d1 long, d2 long, b1 long, b2 long, keys array<long>, places array<int>")
 
 
 def _sets(docs: DataFrame) -> DataFrame:
-    """d1, d2, items for the lines asked for (column ``lines``) of each text."""
+    """doc_id, line, d1, d2, items for the lines asked for (column ``lines``) of each text."""
 
     def make():
         def step(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-            col = strings(batch.column(0))
-            asked = batch.column(1)
+            col = strings(batch.column(1))
+            ids, asked = batch.column(0), batch.column(2)
             for lo, hi in _slices(col):
                 line, h, owner, _ = _line_words(col.slice(lo, hi - lo))
-                line, h = _distinct(line, h, np.zeros(len(h), np.int8))
-                d1, d2 = _digests(line, h, len(owner))
-                edges = np.searchsorted(line, np.arange(len(owner) + 1))
+                part = asked.slice(lo, hi - lo)
+                n = np.diff(part.offsets.to_numpy())
+                text = np.repeat(np.arange(hi - lo), n)
+                number = part.flatten().to_numpy()
                 first = np.searchsorted(owner, np.arange(hi - lo))
-                at = np.array([first[i] + k for i in range(hi - lo) for k in asked[lo + i].as_py()], np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(d1[at]), pa.array(d2[at]), pa.array([h[edges[x] : edges[x + 1]].view(np.int64) for x in at], pa.list_(pa.int64()))], names=["d1", "d2", "items"])
+                at = first[text] + number
+                some = np.zeros(len(owner), bool)
+                some[at] = True
+                own = some[line]
+                line, h = _distinct(line[own], h[own])
+                size = np.bincount(line, minlength=len(owner))
+                d1, d2 = _digests(h, size)
+                start = np.cumsum(size) - size
+                ends = np.cumsum(size[at])
+                where = np.arange(ends[-1] if len(ends) else 0) + np.repeat(start[at] - (ends - size[at]), size[at])
+                items = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(h[where].view(np.int64)))
+                yield pa.RecordBatch.from_arrays([ids.slice(lo, hi - lo).take(pa.array(text)), pa.array(number, pa.int64()), pa.array(d1[at]), pa.array(d2[at]), items], names=["doc_id", "line", "d1", "d2", "items"])
 
         return step
 
-    return arrow_map(docs.select("text", "lines"), make, "d1 long, d2 long, items array<long>")
+    return arrow_map(docs.select("doc_id", "text", "lines"), make, "doc_id long, line long, d1 long, d2 long, items array<long>")
 
 
-def _candidates(postings: DataFrame, least: int) -> DataFrame:
-    """Pairs (p, q) of set digests (64 bits) that pass the filters at a shared prefix word.
+def _earlier(c: dict[str, np.ndarray], least: int, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row, earlier row, parity distance) of the candidates of each row that asks, and the rows with ``most`` or more.
 
-    A smaller set needs a shorter prefix: its partner is no smaller, so they share at least
-    2 least / (100 + least) of it. Where the words before the shared one are also shared, the pair has come up
-    there; so a pair comes up once for each run of shared words.
+    Rows stand by key, then place. A row is held against the one before it, the one before that, and so on, for all
+    rows at once, until it has ``most`` candidates or its group ends.
     """
-    # one exchange by word serves the merge of repeated sets and both sides of the join
-    rows = postings.repartition("word").dropDuplicates(["word", "d1"])
-    rows = rows.select("word", "prev", "bits", "d1", F.expr("int(shiftright(at, 32))").alias("pos"), F.expr("int(at & 4294967295)").alias("size"))
-    a, b = rows.alias("a"), rows.alias("b")
-    # a is the smaller one, by digest among equals
-    order = (F.col("a.size") < F.col("b.size")) | ((F.col("a.size") == F.col("b.size")) & (F.col("a.d1") < F.col("b.d1")))
-    short = F.col("a.pos") <= F.col("a.size") - F.ceil(2 * least * F.col("a.size") / (100 + least))
-    both_sizes = F.col("a.size") + F.col("b.size")
-    need = F.ceil(least * both_sizes / (100 + least))
-    follow = F.least(F.col("a.size") - F.col("a.pos"), F.col("b.size") - F.col("b.pos"))
-    # words before the shared one may also be shared: at most the lesser place of the two
-    room = F.least("a.pos", "b.pos") + follow
-    lengths = 100 * F.col("a.size") >= least * F.col("b.size")
-    # what the bits say differs can't be shared
-    alike = F.bit_count(F.col("a.bits").bitwiseXOR(F.col("b.bits"))) <= both_sizes - 2 * need
-    fresh = (F.col("a.prev") != F.col("b.prev")) | (F.col("a.pos") == 0) | (F.col("b.pos") == 0)
-    pairs = a.join(b, (F.col("a.word") == F.col("b.word")) & order & short & lengths & fresh & alike & (room >= need))
-    return pairs.select(F.col("a.d1").alias("p"), F.col("b.d1").alias("q")).distinct()
-
-
-def _verified(pairs: DataFrame, items: DataFrame, least: int) -> DataFrame:
-    """(p1, p2, q1, q2) of the pairs that are similar on their whole sets.
-
-    The sets travel with the pairs, so the pairs go in up to BLOCKS blocks, each written before the next.
-    """
-    blocks = min(BLOCKS, 1 + pairs.count() // 500_000)
-    out = None
-    for k in range(blocks):
-        some = pairs.filter(F.pmod(F.xxhash64("p"), F.lit(blocks)) == k)
-        both = some.join(items.toDF("p", "p2", "x"), "p").join(items.toDF("q", "q2", "y"), "q")
-        shared = F.size(F.array_intersect("x", "y"))
-        both = both.filter(100 * shared >= least * (F.size("x") + F.size("y") - shared)).select(F.col("p").alias("p1"), "p2", F.col("q").alias("q1"), "q2")
-        block = written(both)
-        out = block if out is None else out.unionAll(block)
-        release(pairs.sparkSession)
-    return out
-
-
-def line_matches(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS) -> DataFrame:
-    """(doc_id, line, first_doc, first_line, links, removed) of each line that matches another; docs has unique ids.
-
-    first_*: the earliest line whose set is equal or similar, which may be the line itself; links: other
-    distinct sets that the line's set matches.
-    """
-    lines = written(_lines(docs, min_words))
-    sets = lines.groupBy("d1", "d2", "size").agg(F.min(F.struct("doc_id", "line")).alias("f"), F.count(F.lit(1)).alias("n"))
-    sets = written(sets.select("d1", "d2", "size", "f", "n"))
+    key, n, pos = c["key"], c["size"], c["pos"]
+    b1, b2 = c["b1"].view(np.uint64), c["b2"].view(np.uint64)
+    fresh = np.ones(len(key), bool)
+    fresh[1:] = key[1:] != key[:-1]
+    rank = np.arange(len(key)) - np.flatnonzero(fresh)[np.cumsum(fresh) - 1]
+    # a smaller set needs a shorter prefix: its partner is no smaller, so they share at least 2 least / (100 + least) of it
+    short = pos < n + 1 - -(-2 * least * n // (100 + least))
+    found = np.zeros(len(key), np.int64)
+    act = np.flatnonzero(c["asks"] & (rank > 0))
+    rows, others, away = [], [], []
+    k = 0
+    while len(act):
+        k += 1
+        act = act[(rank[act] >= k) & (found[act] < most)]
+        i, j = act, act - k
+        both = n[i] + n[j]
+        room = both - 2 * -(-least * both // (100 + least))  # words in which similar sets of these sizes may differ
+        far = np.bitwise_count(b1[i] ^ b1[j]).astype(np.int64)
+        ok = np.flatnonzero(far <= room)
+        i, j, both, room = i[ok], j[ok], both[ok], room[ok]
+        far = far[ok] + np.bitwise_count(b2[i] ^ b2[j])
+        ni, nj, pi, pj = n[i], n[j], pos[i], pos[j]
+        ok = (far <= room) & (100 * np.minimum(ni, nj) >= least * np.maximum(ni, nj))
+        ok &= np.where(ni < nj, short[i], np.where(nj < ni, short[j], short[i] | short[j]))
+        # words before the shared one may also be shared: at most the lesser place of the two
+        ok &= 2 * (np.minimum(pi, pj) + np.minimum(ni - pi, nj - pj)) >= both - room
+        found[i[ok]] += 1
+        rows.append(i[ok])
+        others.append(j[ok])
+        away.append(far[ok])
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *rows]), np.concatenate([none, *others]), np.concatenate([none, *away]), found >= most
+
+
+def _candidates(postings: DataFrame, least: int, most: int) -> DataFrame:
+    """doc_id, line, ds, ls: for each posting that asks and has any, up to ``most`` earlier lines by parity distance; full: there may be more."""
+
+    def compare(part: dict[str, np.ndarray]) -> pa.RecordBatch | None:
+        doc, line = part["doc_id"], part["line"]
+        fresh = np.ones(len(doc), bool)
+        fresh[1:] = part["key"][1:] != part["key"][:-1]
+        group = np.cumsum(fresh)
+        span, longest = int(doc.max()) - int(doc.min()), int(line.max())
+        bits = (int(group[-1]).bit_length(), span.bit_length(), longest.bit_length())
+        if sum(bits) < 64:
+            order = np.argsort(((group << bits[1] | (doc - doc.min())) << bits[2]) | line)
+        else:
+            order = np.lexsort((line, doc, group))
+        part = {k: v[order] for k, v in part.items()}
+        i, j, far, full = _earlier(part, least, most)
+        if not len(i):
+            return None
+        order = np.lexsort((j, far, i))
+        i, j = i[order], j[order]
+        own, first = np.unique(i, return_index=True)
+        edges = pa.array(np.append(first, len(i)), pa.int32())
+        lists = [pa.ListArray.from_arrays(edges, pa.array(part[c][j])) for c in ("doc_id", "line")]
+        return pa.RecordBatch.from_arrays([pa.array(part["doc_id"][own]), pa.array(part["line"][own]), *lists, pa.array(full[own])], names=["doc_id", "line", "ds", "ls", "full"])
+
+    names = ("key", "doc_id", "line", "size", "pos", "b1", "b2", "asks")
+
+    def run(batches):
+        held: list[dict[str, np.ndarray]] = []
+        n = 0
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            held.append({c: batch.column(c).to_numpy(zero_copy_only=False) for c in names})
+            n += batch.num_rows
+            if n < ROWS or held[0]["key"][0] == held[-1]["key"][-1]:
+                continue
+            whole = {c: np.concatenate([h[c] for h in held]) for c in names}
+            cut = np.searchsorted(whole["key"], whole["key"][-1])  # the last key may go on
+            if out := compare({c: v[:cut] for c, v in whole.items()}):
+                yield out
+            held = [{c: v[cut:] for c, v in whole.items()}]
+            n -= cut
+        if held and (out := compare({c: np.concatenate([h[c] for h in held]) for c in names})):
+            yield out
+
+    rows = postings.repartition("key").sortWithinPartitions("key").select(*names)
+    return rows.mapInArrow(run, "doc_id long, line long, ds array<long>, ls array<long>, full boolean")
+
+
+def _postings(lines: DataFrame, asks) -> DataFrame:
+    """One row for each key of each line."""
+    some = lines.filter(F.size("keys") > 0).select("doc_id", "line", "size", "b1", "b2", "places", asks.alias("asks"), F.posexplode("keys").alias("i", "key"))
+    return some.select("key", "doc_id", "line", "size", F.coalesce(F.get("places", F.col("i")), F.col("i")).cast("long").alias("pos"), "b1", "b2", "asks")
+
+
+def _verified(pairs: DataFrame, docs: DataFrame, least: int) -> DataFrame:
+    """The pairs (doc_id, line, of_doc, of_line) that are similar on their whole sets, with the digest of the line's set."""
+    ends = pairs.select("doc_id", "line").unionAll(pairs.select("of_doc", "of_line"))
+    asked = written(ends.groupBy("doc_id").agg(F.collect_set("line").alias("lines")))
+    items = written(_sets(docs.join(_small(asked), "doc_id")))
+    x = items.toDF("doc_id", "line", "d1", "d2", "x")
+    y = items.select(F.col("doc_id").alias("of_doc"), F.col("line").alias("of_line"), F.col("items").alias("y"))
+    both = pairs.join(x, ["doc_id", "line"]).join(y, ["of_doc", "of_line"])
+    shared = F.size(F.array_intersect("x", "y"))
+    return both.filter(100 * shared >= least * (F.size("x") + F.size("y") - shared)).select("doc_id", "line", "of_doc", "of_line", "d1", "d2")
+
+
+def _small(df: DataFrame) -> DataFrame:
+    """A written table, marked for broadcast if it has few rows."""
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
+def _pairs(rows: DataFrame, first: bool) -> DataFrame:
+    """Distinct (doc_id, line, of_doc, of_line) of the nearest candidates, or of all others."""
+    if first:
+        return rows.select("doc_id", "line", F.get("ds", F.lit(0)).alias("of_doc"), F.get("ls", F.lit(0)).alias("of_line")).distinct()
+    both = F.slice(F.arrays_zip("ds", "ls"), F.lit(2), F.size("ds"))
+    return rows.select("doc_id", "line", F.explode(both).alias("o")).select("doc_id", "line", F.col("o.ds").alias("of_doc"), F.col("o.ls").alias("of_line")).distinct()
+
+
+def similar_lines(lines: DataFrame, docs: DataFrame, least: int, most: int) -> DataFrame:
+    """(doc_id, line, of_doc, of_line, d1, d2): for each line that has any, earlier lines of other sets that it matches, at least one."""
+    place = ["doc_id", "line"]
+    rows = written(_candidates(_postings(lines, F.lit(True)), least, most))
+    release(lines.sparkSession)  # the postings' shuffle isn't needed any more
+    found = written(_verified(written(_pairs(rows, True)), docs, least))
+    open_ = written(rows.filter("size(ds) > 1 or full").join(found.select(*place).distinct(), place, "left_anti"))
+    rest = written(_pairs(open_, False))
+    if not rest.isEmpty():
+        more = written(_verified(rest, docs, least))
+        open_, found = open_.join(more.select(*place).distinct(), place, "left_anti"), found.unionAll(more)
+    last = written(open_.filter("full").select(*place).distinct())
+    if not last.isEmpty():  # lines whose lists were full and held no match: all their candidates
+        asking = _small(last.withColumn("asks", F.lit(True)))
+        marked = lines.join(asking, place, "left").withColumn("asks", F.coalesce("asks", F.lit(False)))
+        keys = _small(written(marked.filter("asks").select(F.explode("keys").alias("key")).distinct()))
+        all_ = written(_candidates(_postings(marked, F.col("asks")).join(keys, "key", "left_semi"), least, 1 << 40))
+        every = written(_pairs(all_, True).unionAll(_pairs(all_, False)).distinct())
+        found = found.unionAll(written(_verified(every, docs, least)))
+    return found
+
+
+def line_matches(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS, most: int = MOST, group: int = GROUP) -> DataFrame:
+    """(doc_id, line, of_doc, of_line) of each line that is removed and an earlier line that it matches; docs has unique ids."""
     held = docs.sparkSession.sparkContext.broadcast(rarity(docs))
-    pairs = written(_candidates(_postings(docs, held, least, min_words), least))
-    ends = written(pairs.select(F.col("p").alias("d1")).unionAll(pairs.select("q")).distinct())
-    asked = written(ends.join(sets, "d1").groupBy(F.col("f.doc_id").alias("doc_id")).agg(F.collect_set(F.col("f.line").cast("int")).alias("lines"), F.count(F.lit(1)).alias("n")))
-    few = (asked.agg(F.sum("n")).first()[0] or 0) <= BROADCAST_LINES
-    items = written(_sets(docs.join(F.broadcast(asked) if few else asked, "doc_id")))
-    release(docs.sparkSession)  # the postings' shuffle isn't needed any more
-    matches = _verified(pairs, items, least)
-    matched = matches.toDF("o1", "o2", "d1", "d2").unionAll(matches.select("q1", "q2", "p1", "p2"))
-    others = sets.select(F.col("d1").alias("o1"), F.col("d2").alias("o2"), F.col("f").alias("of"))
-    per_set = matched.join(others, ["o1", "o2"]).groupBy("d1", "d2").agg(F.min("of").alias("m"), F.count(F.lit(1)).alias("links"))
-    known = sets.join(per_set, ["d1", "d2"], "left").filter("n > 1 or m is not null")
-    known = known.select("d1", "d2", F.least("f", F.coalesce("m", "f")).alias("g"), F.coalesce("links", F.lit(0)).alias("links"))
-    hit = lines.join(known, ["d1", "d2"])
-    later = (F.col("g.doc_id") < F.col("doc_id")) | ((F.col("g.doc_id") == F.col("doc_id")) & (F.col("g.line") < F.col("line")))
-    return hit.select("doc_id", "line", F.col("g.doc_id").alias("first_doc"), F.col("g.line").alias("first_line"), "links", later.alias("removed"))
-
-
-def deduplicated(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS) -> DataFrame:
-    """doc_id, text (kept lines, joined by line feeds), n_lines, n_removed, n_links for every document (unique ids)."""
-    hits = line_matches(docs, least, min_words)
-    per_doc = hits.groupBy("doc_id").agg(F.collect_list(F.when(F.col("removed"), F.col("line"))).alias("gone"), F.sum("links").alias("n_links"))
-    lines = F.split(F.coalesce("text", F.lit("")), "\n")
-    out = docs.join(per_doc, "doc_id", "left").withColumn("gone", F.coalesce("gone", F.array().cast("array<bigint>")))
-    kept = F.when(F.size("gone") == 0, F.col("text")).otherwise(F.array_join(F.transform(F.array_except(F.sequence(F.lit(0).cast("long"), F.size(lines).cast("long") - 1), F.col("gone")), lambda k: lines[k.cast("int")]), "\n"))
-    return out.select("doc_id", kept.alias("text"), F.size(lines).cast("long").alias("n_lines"), F.size("gone").cast("long").alias("n_removed"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    lines = written(_lines(docs, held, least, min_words, group))
+    near = similar_lines(lines, docs, least, most)
+    place = F.struct("doc_id", "line")
+    both = lines.select("d1", "d2", place.alias("f"), F.lit(None).cast("struct<doc_id: bigint, line: bigint>").alias("m"))
+    both = both.unionAll(near.select("d1", "d2", F.lit(None).cast("struct<doc_id: bigint, line: bigint>"), F.struct(F.col("of_doc").alias("doc_id"), F.col("of_line").alias("line"))))
+    sets = both.groupBy("d1", "d2").agg(F.min("f").alias("f"), F.count("f").alias("n"), F.min("m").alias("m"))
+    # a copy may have matched a line that stands after its set's first place
+    sets = sets.withColumn("m", F.when(F.col("m") < F.col("f"), F.col("m"))).filter("n > 1 or m is not null")
+    known = _small(written(sets.select("d1", "d2", F.coalesce("m", "f").alias("g"))))
+    hits = lines.select("doc_id", "line", "d1", "d2").join(known, ["d1", "d2"]).filter((F.col("g") < place))
+    return hits.select("doc_id", "line", F.col("g.doc_id").alias("of_doc"), F.col("g.line").alias("of_line"))
+
+
+def deduplicated(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS, most: int = MOST, group: int = GROUP) -> DataFrame:
+    """doc_id, text (kept lines, joined by line feeds), n_lines, n_removed for every document (unique ids)."""
+    hits = line_matches(docs, least, min_words, most, group)
+    gone = _small(written(hits.groupBy("doc_id").agg(F.collect_list(F.col("line").cast("int")).alias("gone"))))
+    feeds = F.coalesce(F.length("text") - F.length(F.translate("text", "\n", "")), F.lit(0))
+    out = docs.join(gone, "doc_id", "left").withColumn("gone", F.coalesce("gone", F.array().cast("array<int>")))
+
+    def rest(lines):
+        """lines is split once, however many of it stay."""
+        return F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("gone")), lambda k: lines[k]), "\n")
+
+    kept = F.when(F.size("gone") == 0, F.col("text")).otherwise(F.transform(F.array(F.split("text", "\n")), rest)[0])
+    return out.select("doc_id", kept.alias("text"), (feeds + 1).cast("long").alias("n_lines"), F.size("gone").cast("long").alias("n_removed"))
 
 
 def op9(spark, sf_dir: str) -> DataFrame:
     docs = one_row_per_id(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    out = deduplicated(docs)
-    return out.select(shown(), "n_lines", "n_removed", "n_links", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+    return deduplicated(docs).select(shown(), "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
 def brute(rows: list[tuple], least: int = LEAST, min_words: int = MIN_WORDS) -> dict:
-    """Slow check: {doc_id: (n_lines, n_removed, n_links, digest)}."""
+    """Slow check: {doc_id: (n_lines, n_removed, digest)}."""
     import re
 
     lines = []
@@ -301,15 +463,12 @@ def brute(rows: list[tuple], least: int = LEAST, min_words: int = MIN_WORDS) ->
             low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in line)
             lines.append((d, k, line, frozenset(re.findall(r"[^\x20\x09-\x0D]+", low))))
     alike = lambda x, y: 100 * len(x & y) >= least * len(x | y)
-    sets = {s for *_, s in lines if len(s) >= min_words}
-    links = {s: sum(alike(s, o) for o in sets if o != s) for s in sets}
-    out = {d: [0, 0, 0, []] for d, _ in rows}
+    out = {d: [0, 0, []] for d, _ in rows}
     for i, (d, _, line, s) in enumerate(lines):
         own = out[d]
         own[0] += 1
         if len(s) >= min_words and any(len(o[3]) >= min_words and alike(s, o[3]) for o in lines[:i]):
             own[1] += 1
         else:
-            own[3].append(line)
-        own[2] += links.get(s, 0)
-    return {d: (a, b, c, hashlib.sha256("\n".join(x).encode()).hexdigest()) for d, (a, b, c, x) in out.items()}
+            own[2].append(line)
+    return {d: (a, b, hashlib.sha256("\n".join(x).encode()).hexdigest()) for d, (a, b, x) in out.items()}
