@@ -23,34 +23,37 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """A fresh path in the folder that driver and executors share.
 
-    The cluster names it in spark.checkpoint.dir. Only where that is unset (tests on one machine) a
-    folder of this process is made and set.
+    The cluster names it in spark.checkpoint.dir. Only on a local master, where one machine is all there is (tests),
+    an unset folder is made here; elsewhere that is an error.
     """
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root is None:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         root = held.get() if held.isDefined() else None
     if root is None:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise RuntimeError(f"spark.checkpoint.dir must name a folder that the executors of {master} share")
         root = f"file://{tempfile.mkdtemp(prefix='markerpanel-')}"
         spark.sparkContext.setCheckpointDir(root)
     return f"{root.rstrip('/')}/{uuid.uuid4().hex}"
 
 
-def settle(df: DataFrame) -> DataFrame:
-    """Cut the lineage: a reliable checkpoint in the shared folder (never a local one)."""
-    spark = df.sparkSession
-    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        root = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.mkdtemp(prefix='markerpanel-')}"
-        spark.sparkContext.setCheckpointDir(root)
-    return df.checkpoint(eager=True)
-
-
 def written(df: DataFrame) -> DataFrame:
-    """Like settle(), by a Parquet table: columnar and small, so later scans prune columns."""
+    """Cut the lineage by a Parquet table in the shared folder: columnar and small, so later scans prune columns."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/t"
     df.write.parquet(path)
-    return spark.read.parquet(path)
+    out = spark.read.parquet(path)
+    out._scratch = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete tables of written() that nothing will read again."""
+    for t in tables:
+        path = t.sparkSession._jvm.org.apache.hadoop.fs.Path(t._scratch)
+        path.getFileSystem(t.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path.getParent(), True)
 
 
 def release(spark: SparkSession) -> None:

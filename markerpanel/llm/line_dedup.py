@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from markerpanel.llm import textbytes as tb
-from markerpanel.llm.common import NULL_ID, arrow_map, one_row_per_id, release, shown, sliced, strings, table, written
+from markerpanel.llm.common import NULL_ID, arrow_map, discard, one_row_per_id, release, shown, sliced, strings, table, written
 
 LEAST = 80
 #: Distinct words of a line that is looked at: any line that has words.
@@ -51,9 +51,9 @@ MOST = 16
 #: Lines of a word that one chunk of its group holds, about.
 GROUP = 1 << 16
 #: Rows that a task puts together before it compares them.
-ROWS = 1 << 18
+ROWS = 1 << 17
 #: Lines or documents up to this many are broadcast (under 100 bytes each); more are joined by shuffle.
-BROADCAST_ROWS = 400_000
+BROADCAST_ROWS = 200_000
 _NEWLINE = np.array([b == 10 for b in range(256)])
 
 
@@ -76,31 +76,6 @@ def _line_words(texts: pa.Array):
     return line, h, owner, number
 
 
-def _distinct(line: np.ndarray, h: np.ndarray, mark: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """(line, word) without repeats, each line's words by ``mark`` (a byte) then hash.
-
-    One sort of a number that holds line, mark and the first bits of the hash; only if two words of a line agree in
-    all of it is the slice sorted by the whole keys.
-    """
-    if not len(h):
-        return line, h
-    room = 64 - max(1, int(line[-1]).bit_length() if np.all(line[:-1] <= line[1:]) else int(line.max()).bit_length())
-    whole = line.astype(np.uint64) << np.uint64(room)
-    if mark is not None:
-        whole |= mark.astype(np.uint64) << np.uint64(room - 8)
-        room -= 8
-    whole |= h >> np.uint64(64 - room)
-    order = np.argsort(whole)
-    at, word = whole[order], h[order]
-    if np.any((at[1:] == at[:-1]) & (word[1:] != word[:-1])):
-        order = np.lexsort((h, line) if mark is None else (h, mark, line))
-        word = h[order]
-    line = line[order]
-    fresh = np.ones(len(line), bool)
-    fresh[1:] = (line[1:] != line[:-1]) | (word[1:] != word[:-1])
-    return line[fresh], word[fresh]
-
-
 def _per_line(combine: np.ufunc, values: np.ndarray, size: np.ndarray) -> np.ndarray:
     """One number a line from its words' values, which stand line by line; 0 for lines without words."""
     out = np.zeros(len(size), np.uint64)
@@ -196,7 +171,7 @@ def _lines(docs: DataFrame, held, least: int, min_words: int, group: int) -> Dat
             for lo, hi in _slices(col):
                 line, h, owner, number = _line_words(col.slice(lo, hi - lo))
                 mark = counts[(h % np.uint64(RARITY_CELLS)).astype(np.int64)]
-                line, h = _distinct(line, h, mark)
+                line, h = tb.distinct(line, h, mark)
                 mark = counts[(h % np.uint64(RARITY_CELLS)).astype(np.int64)]
                 size = np.bincount(line, minlength=len(owner))
                 d1, d2 = _digests(h, size)
@@ -260,7 +235,7 @@ def _sets(docs: DataFrame) -> DataFrame:
                 some = np.zeros(len(owner), bool)
                 some[at] = True
                 own = some[line]
-                line, h = _distinct(line[own], h[own])
+                line, h = tb.distinct(line[own], h[own])
                 size = np.bincount(line, minlength=len(owner))
                 d1, d2 = _digests(h, size)
                 start = np.cumsum(size) - size
@@ -371,7 +346,7 @@ def _postings(lines: DataFrame, asks) -> DataFrame:
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, least: int) -> DataFrame:
-    """The pairs (doc_id, line, of_doc, of_line) that are similar on their whole sets, with the digest of the line's set."""
+    """The pairs (doc_id, line, of_doc, of_line) that are similar on their whole sets, with the digest of the line's set. Written; pairs goes."""
     ends = pairs.select("doc_id", "line").unionAll(pairs.select("of_doc", "of_line"))
     asked = written(ends.groupBy("doc_id").agg(F.collect_set("line").alias("lines")))
     items = written(_sets(docs.join(_small(asked), "doc_id")))
@@ -379,7 +354,9 @@ def _verified(pairs: DataFrame, docs: DataFrame, least: int) -> DataFrame:
     y = items.select(F.col("doc_id").alias("of_doc"), F.col("line").alias("of_line"), F.col("items").alias("y"))
     both = pairs.join(x, ["doc_id", "line"]).join(y, ["of_doc", "of_line"])
     shared = F.size(F.array_intersect("x", "y"))
-    return both.filter(100 * shared >= least * (F.size("x") + F.size("y") - shared)).select("doc_id", "line", "of_doc", "of_line", "d1", "d2")
+    out = written(both.filter(100 * shared >= least * (F.size("x") + F.size("y") - shared)).select("doc_id", "line", "of_doc", "of_line", "d1", "d2"))
+    discard(pairs, asked, items)
+    return out
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -400,11 +377,12 @@ def similar_lines(lines: DataFrame, docs: DataFrame, least: int, most: int) -> D
     place = ["doc_id", "line"]
     rows = written(_candidates(_postings(lines, F.lit(True)), least, most))
     release(lines.sparkSession)  # the postings' shuffle isn't needed any more
-    found = written(_verified(written(_pairs(rows, True)), docs, least))
+    found = _verified(written(_pairs(rows, True)), docs, least)
     open_ = written(rows.filter("size(ds) > 1 or full").join(found.select(*place).distinct(), place, "left_anti"))
+    discard(rows)
     rest = written(_pairs(open_, False))
     if not rest.isEmpty():
-        more = written(_verified(rest, docs, least))
+        more = _verified(rest, docs, least)
         open_, found = open_.join(more.select(*place).distinct(), place, "left_anti"), found.unionAll(more)
     last = written(open_.filter("full").select(*place).distinct())
     if not last.isEmpty():  # lines whose lists were full and held no match: all their candidates
@@ -413,7 +391,7 @@ def similar_lines(lines: DataFrame, docs: DataFrame, least: int, most: int) -> D
         keys = _small(written(marked.filter("asks").select(F.explode("keys").alias("key")).distinct()))
         all_ = written(_candidates(_postings(marked, F.col("asks")).join(keys, "key", "left_semi"), least, 1 << 40))
         every = written(_pairs(all_, True).unionAll(_pairs(all_, False)).distinct())
-        found = found.unionAll(written(_verified(every, docs, least)))
+        found = found.unionAll(_verified(every, docs, least))
     return found
 
 
@@ -429,8 +407,10 @@ def line_matches(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS
     # a copy may have matched a line that stands after its set's first place
     sets = sets.withColumn("m", F.when(F.col("m") < F.col("f"), F.col("m"))).filter("n > 1 or m is not null")
     known = _small(written(sets.select("d1", "d2", F.coalesce("m", "f").alias("g"))))
-    hits = lines.select("doc_id", "line", "d1", "d2").join(known, ["d1", "d2"]).filter((F.col("g") < place))
-    return hits.select("doc_id", "line", F.col("g.doc_id").alias("of_doc"), F.col("g.line").alias("of_line"))
+    hits = lines.select("doc_id", "line", "d1", "d2").join(known, ["d1", "d2"]).filter(F.col("g") < place)
+    hits = written(hits.select("doc_id", "line", F.col("g.doc_id").alias("of_doc"), F.col("g.line").alias("of_line")))
+    discard(lines)
+    return hits
 
 
 def deduplicated(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS, most: int = MOST, group: int = GROUP) -> DataFrame:

@@ -52,15 +52,16 @@ def shingle_sets(texts: pa.Array, shingle: int = SHINGLE) -> tuple[np.ndarray, n
     inside = doc[: len(runs)] == doc[shingle - 1 :] if len(runs) else np.zeros(0, bool)
     owner, value = doc[: len(runs)][inside], runs[inside]
     n = np.bincount(doc, minlength=len(texts))
-    for d in np.flatnonzero((n > 0) & (n < shingle)):
-        own = h[np.searchsorted(doc, d) : np.searchsorted(doc, d, "right")]
-        owner = np.append(owner, d)
-        value = np.append(value, tb.chained(own, len(own)) + np.uint64(len(own)))
-    order = np.lexsort((value, owner))
-    owner, value = owner[order], value[order]
-    fresh = np.ones(len(owner), bool)
-    fresh[1:] = (owner[1:] != owner[:-1]) | (value[1:] != value[:-1])
-    return owner[fresh], value[fresh]
+    few = np.flatnonzero((n > 0) & (n < shingle))
+    if len(few):
+        first = np.searchsorted(doc, few)
+        whole = np.zeros(len(few), np.uint64)
+        for size in range(1, shingle):
+            some = n[few] == size
+            at = first[some][:, None] + np.arange(size)
+            whole[some] = tb.chained(h[at.T], size)[0] + np.uint64(size)
+        owner, value = np.append(owner, few), np.append(value, whole)
+    return tb.distinct(owner, value)
 
 
 _PROBES = (tb.mixed(np.arange(BINS * 4096, dtype=np.uint64) + np.uint64(7)) % np.uint64(BINS)).astype(np.int64).reshape(4096, BINS)
@@ -161,7 +162,7 @@ def _star(members: DataFrame, sizes: DataFrame, least: int) -> DataFrame:
     return edges.filter(fits).select(F.least("doc", "hub").alias("a"), F.greatest("doc", "hub").alias("b")).distinct()
 
 
-def _unsettled(members: DataFrame, sketches: DataFrame, sets: DataFrame, parts: DataFrame, least: int) -> DataFrame:
+def _unsettled(members: DataFrame, groups: DataFrame, sets: DataFrame, parts: DataFrame, least: int) -> DataFrame:
     """Pairs of one bucket in different components whose possible overlap suffices."""
     placed = members.join(parts.select(F.col("node").alias("doc"), "component"), "doc", "left").withColumn("component", F.coalesce("component", "doc"))
     # a bucket of two was settled by its star
@@ -172,7 +173,7 @@ def _unsettled(members: DataFrame, sketches: DataFrame, sets: DataFrame, parts:
     alone = own.select("doc", F.explode("items").alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("doc").alias("doc")).filter("c = 1").groupBy("doc").agg(F.count(F.lit(1)).alias("u"))
     facts = docs.join(sets.select("doc", "n"), "doc").join(alone, "doc", "left").withColumn("k", F.col("n") - F.coalesce("u", F.lit(0)))
     # a set that could not even be linked with a set of all its shared shingles is out
-    facts = facts.filter(100 * F.col("k") >= least * F.col("n")).join(sketches.select(F.col("doc_id").alias("doc"), "bands"), "doc")
+    facts = facts.filter(100 * F.col("k") >= least * F.col("n")).join(groups.select(F.col("rep").alias("doc"), "bands"), "doc")
     rows = written(placed.select("band", "doc").join(facts, "doc").select("band", "doc", "component", "n", "k", "bands"))
     a, b = rows.alias("a"), rows.alias("b")
     most = F.least("a.k", "b.k")
@@ -187,17 +188,16 @@ def near_duplicates(docs: DataFrame, least: int = LEAST) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every document."""
     docs = one_row_per_id(docs)
     sketches = written(_sketches(docs))
-    groups = sketches.filter("n > 0").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
-    groups = written(groups)
-    reps = sketches.join(groups.select(F.col("rep").alias("doc_id")), "doc_id")
-    rows = reps.select(F.col("doc_id").alias("doc"), F.explode("bands").alias("band"))
+    # equal sets have equal bands
+    groups = written(sketches.filter("n > 0").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.any_value("bands").alias("bands")))
+    rows = groups.select(F.col("rep").alias("doc"), F.explode("bands").alias("band"))
     shared = rows.groupBy("band").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("band")
     members = written(rows.join(shared, "band").select("band", "doc"))
     wanted = written(members.select(F.col("doc").alias("doc_id")).distinct())
     few = wanted.count() <= BROADCAST_IDS
     sets = written(_full_sets(docs.join(F.broadcast(wanted) if few else wanted, "doc_id").select("doc_id", "text")))
     links = written(_confirmed(_star(members, sets.select("doc", "n"), least), sets, least))
-    more = _confirmed(_unsettled(members, sketches, sets, components(links), least), sets, least)
+    more = _confirmed(_unsettled(members, groups, sets, components(links), least), sets, least)
     parts = components(links.unionAll(more))
     copies = groups.filter("copies > 1").select("d1", "d2", "n", "rep")
     out = sketches.select("doc_id", "n", "d1", "d2").join(copies, ["d1", "d2", "n"], "left").withColumn("rep", F.coalesce("rep", "doc_id"))

@@ -93,3 +93,28 @@ def chained(hashes: np.ndarray, count: int) -> np.ndarray:
         out = (out ^ hashes[k : k + n]) * U64(0xE7037ED1A0B428DB)
         out ^= out >> U64(32)
     return mixed(out)
+
+
+def distinct(line: np.ndarray, h: np.ndarray, mark: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(line, hash) without repeats, each line's hashes by ``mark`` (a byte), then value.
+
+    One sort of a number that holds line, mark and the first bits of the hash; only if two hashes of a line agree in
+    all of it is the slice sorted by the whole keys.
+    """
+    if not len(h):
+        return line, h
+    room = 64 - max(1, int(line[-1]).bit_length() if np.all(line[:-1] <= line[1:]) else int(line.max()).bit_length())
+    whole = line.astype(U64) << U64(room)
+    if mark is not None:
+        whole |= mark.astype(U64) << U64(room - 8)
+        room -= 8
+    whole |= h >> U64(64 - room)
+    order = np.argsort(whole)
+    at, word = whole[order], h[order]
+    if np.any((at[1:] == at[:-1]) & (word[1:] != word[:-1])):
+        order = np.lexsort((h, line) if mark is None else (h, mark, line))
+        word = h[order]
+    line = line[order]
+    fresh = np.ones(len(line), bool)
+    fresh[1:] = (line[1:] != line[:-1]) | (word[1:] != word[:-1])
+    return line[fresh], word[fresh]

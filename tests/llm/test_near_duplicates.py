@@ -56,3 +56,21 @@ def test_components(spark):
         parent[max(p, q)] = min(p, q)
     got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {x: root(x) for a, b in edges if a != b for x in (a, b)}
+
+
+def test_components_by_one_task_and_by_rounds(spark):
+    rng = random.Random(3)
+    edges = [(k, k + 1) for k in range(1000, 1040)] + [(rng.randrange(60) * 7, rng.randrange(60) * 7) for _ in range(45)] + [(5, 5), (-3, 2**62)]
+    df = spark.createDataFrame(edges, "a long, b long")
+    got = [sorted(map(tuple, components(df, solo).collect())) for solo in (10**6, 0)]
+    assert got[0] == got[1] and (2**62, -3) in got[0] and (1040, 1000) in got[0]
+    assert components(df.limit(0)).count() == 0
+
+
+def test_very_long_and_very_short_texts(spark):
+    rng = random.Random(5)
+    long_ = [f"w{rng.randrange(50_000)}" for _ in range(60_000)]
+    rows = [(1, " ".join(long_)), (2, " ".join(long_[:55_000])), (3, " ".join(long_[:20_000])), (4, "one two"), (5, "ONE  two"), (6, "two one"), (7, "a b c d"), (8, "a b c d"), (9, " \n"), (10, None), (10, "one"), (11, "one")]
+    df = spark.createDataFrame([(a, b, 1, "x") for a, b in rows], "doc_id long, text string, n long, band string").repartition(3)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in nd.near_duplicates(df).collect()}
+    assert got == nd.brute([r for r in rows if r != (10, None)])
