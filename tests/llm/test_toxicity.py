@@ -1,3 +1,4 @@
+import random
 import zlib
 
 import pyarrow as pa
@@ -19,20 +20,30 @@ def test_grammar():
     assert forms("you are not an idiot") == {"insult_denied": 1}
     assert forms("not today. idiot!") == {"insult_bare": 1}
     assert forms("the mayor said it was a bad and rather sad case of garbage") == {"insult_quoted": 1}
-    assert forms("we will kill you; they never murder") == {"threat_bare": 1, "threat_denied": 1}
+    assert forms("we will kill you") == {"threat_bare": 1} and forms("they never murder him") == {"threat_denied": 1}
+    assert forms("you should hang") == {"threat_aimed": 1} and forms("he said you will die") == {"threat_quoted": 1}
+    assert forms("they kill time") == forms("die Frau will sie; kill, you") == {}
     assert forms("clown### %%%idiots") == {"insult_bare": 2}
     assert forms(None) == forms("") == forms("idiotic sclown") == {}
 
 
 def test_composition_equals_one_after_another():
-    a, b = tx.Machine(tx._negation), tx.Machine(tx._target)
-    both = a | b
-    s = t = u = 0
-    for symbol in [tx.AIM, tx.OTHER, tx.DENY, (tx.HIT, "bare"), tx.OTHER, tx.OTHER, tx.OTHER, tx.OTHER, (tx.HIT, "bare"), tx.AIM, (tx.MENACE, "bare")]:
-        s, x = a(s, symbol)
-        t, y = b(t, x)
-        u, z = both(u, symbol)
-        assert y == z
+    machines = [tx.Machine(f) for f in (tx._threat, tx._negation, tx._report, tx._target)]
+    rng = random.Random(1)
+    for _ in range(200):
+        states, u, both = [0] * 4, 0, tx.grammar()
+        for symbol in [rng.choice([tx.OTHER, tx.AIM, tx.DENY, tx.SPEECH, tx.VERB, tx.DOOM, tx.BOTH, tx.MAY, (tx.HIT, "bare", 1)]) for _ in range(14)]:
+            y = symbol
+            for k, m in enumerate(machines):
+                states[k], y = m(states[k], y)
+            u, z = both(u, symbol)
+            assert y == z
+
+
+def test_path_weights():
+    weigh = lambda text: tx.Matcher(tx.built_in()).features(strings(pa.array([text], pa.string())))[0][len(tx.FEATURES) :].sum()
+    assert weigh("they will kill you") == 2 * weigh("they kill you") == 2 * tx.KNOWN
+    assert weigh("idiots, morons") == 2 * weigh("a fool") == 2 * tx.KNOWN
 
 
 def test_held_out_accuracy(spark):
@@ -44,7 +55,7 @@ def test_held_out_accuracy(spark):
     marked = [r for k, r in got.items() if any(w in text[k].replace("#", " ").split() for w in ("idiot", "moron", "scum", "loser"))]
     assert marked and all(r.predicted for r in marked)
     pairs = [(got[r.doc_id].score, r.toxic) for r in labels.collect() if got[r.doc_id].held_out]
-    assert tx.area(pairs) > 0.6
+    assert tx.area(pairs) > 0.8  # six toxic rows are held out here, of which two are in languages with few examples
     assert sum((s >= 0.5) == t for s, t in pairs) / len(pairs) > 0.9
 
 
@@ -64,7 +75,8 @@ def test_held_out_recall_of_each_language(spark):
         toxic = [r.predicted for r in rows if r.toxic and r.lang == lang]
         assert sum(toxic) >= 0.8 * len(toxic), lang
     clean = [r.predicted for r in rows if not r.toxic]
-    assert sum(clean) <= 0.05 * len(clean)
+    assert sum(clean) <= 0.01 * len(clean)
+    assert tx.area([(r.score, r.toxic) for r in rows]) > 0.95
 
 
 def test_lexicon_support_does_not_grow_with_the_sample(spark):
@@ -75,24 +87,52 @@ def test_lexicon_support_does_not_grow_with_the_sample(spark):
 
 
 def plain_features(text, lexicon):
-    """Counts of hits by form, clause by clause."""
+    """Counts and weights of matches by form, clause by clause, from the rules in words."""
     import re
 
-    out = [0] * len(tx.FEATURES)
+    n = len(tx.FEATURES)
+    out = [0.0] * (2 * n)
     low = "".join(c.lower() if c.isascii() else c for c in text or "")
     for clause in re.split(r"[.!?;:,\n|]", low):
-        kinds = [lexicon.get(w, tx.OTHER) for w in re.findall(r"[0-9a-z\x80-\U0010ffff]+", clause)]
+        entries = [lexicon.get(w, (tx.OTHER, 1.0)) for w in re.findall(r"[0-9a-z\x80-\U0010ffff]+", clause)]
+        kinds = [k for k, _ in entries]
+        taken, matched, since = set(), {}, 0
         for i, kind in enumerate(kinds):
-            if kind in (tx.HIT, tx.MENACE):
-                near = kinds[max(0, i - tx.NEAR - 1) : i]
-                form = "denied" if tx.DENY in near else "quoted" if tx.SPEECH in kinds[:i] else "aimed" if tx.AIM in near else "bare"
-                out[4 * (kind == tx.MENACE) + tx.FORMS.index(form)] += 1
+            near = [j for j in range(max(0, i - tx.NEAR), i) if j >= since]
+            if kind == tx.HIT:
+                matched[i] = (0, 1, "bare")
+            elif kind in (tx.DOOM, tx.BOTH) and any(kinds[j] == tx.MAY for j in near) and any(kinds[j] == tx.AIM for j in near):
+                matched[i], since = (1, 2, "aimed"), i + 1
+            elif kind == tx.AIM:
+                verbs = [j for j in near if kinds[j] in (tx.VERB, tx.BOTH) and j not in taken]
+                if verbs:
+                    strong = any(kinds[j] == tx.MAY and j >= verbs[-1] - tx.NEAR for j in range(since_may(kinds, matched, verbs[-1]), verbs[-1]))
+                    matched[i] = (1, 1 + strong, "bare")
+                taken |= set(range(i))
+        for i, (menace, path, form) in matched.items():
+            near = range(max(0, i - tx.NEAR - 1), i)
+            if any(kinds[j] == tx.DENY for j in near):
+                form = "denied"
+            elif tx.SPEECH in kinds[:i]:
+                form = "quoted"
+            elif form == "bare" and any(kinds[j] == tx.AIM and j not in matched for j in near):
+                form = "aimed"
+            at = 4 * menace + tx.FORMS.index(form)
+            out[at] += 1
+            out[n + at] += path * (tx.KNOWN if menace else entries[i][1])
     return out
 
 
+def since_may(kinds, matched, at):
+    """Place from which a modal still counts: after the last match that used modals up."""
+    return max([j + 1 for j, m in matched.items() if m == (1, 2, "aimed") and j < at], default=0)
+
+
 def test_query_rows_against_plain_python(spark):
+    import hashlib
+    import math
     import re
-    from collections import Counter
+    from collections import defaultdict
 
     import numpy as np
 
@@ -105,15 +145,21 @@ def test_query_rows_against_plain_python(spark):
     for r in spark.read.parquet(f"{DIR}/labels.parquet").collect():
         if r.toxic in (0, 1) and r.doc_id in texts and not held[r.doc_id] and texts[r.doc_id] is not None:
             taught[texts[r.doc_id]] = max(r.toxic, taught.get(texts[r.doc_id], 0))
-    n1 = sum(taught.values())
-    n0 = len(taught) - n1
-    toxic, clean = Counter(), Counter()
+    owners = {0: set(), 1: set()}
+    stands = {0: defaultdict(set), 1: defaultdict(set)}
     for text, t in taught.items():
-        (toxic if t else clean).update({w for w in re.split(r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", text.lower()) if len(w) >= 3})
+        words = re.split(r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", text.lower())
+        own = min(hashlib.md5(" ".join(words[k : k + 5]).encode()).hexdigest() for k in range(max(1, len(words) - 4)))
+        owners[t].add(own)
+        for w in set(words):
+            if len(w) >= 3:
+                stands[t][w].add(own)
+    n1, n0 = len(owners[1]), len(owners[0])
     lexicon = tx.built_in()
-    for w, a in toxic.items():
-        if a >= tx.SUPPORT and (a + 0.5) / n1 > 20 * (clean[w] + 0.5) / n0:
-            lexicon.setdefault(w, tx.HIT)
+    for w, s in stands[1].items():
+        ratio = (len(s) + 0.5) / n1 * n0 / (len(stands[0][w]) + 0.5)
+        if len(s) >= tx.SUPPORT and ratio > tx.RATIO and lexicon.get(w, (tx.HIT, 0))[0] == tx.HIT:
+            lexicon[w] = (tx.HIT, min(tx.HEAVIEST, math.log(ratio)))
     model = tx.Model(lexicon, tx.fit(np.array([plain_features(t, lexicon) for t in taught], float), np.array(list(taught.values()), float)))
     want = dict(zip(texts, model.scores(np.array([plain_features(t, lexicon) for t in texts.values()], float)), strict=True))
     got = {r.doc_id: r for r in tx.op7(spark, DIR).collect()}
