@@ -6,10 +6,14 @@ holds what later bytes can depend on: the longest suffix that can begin a token,
 it the last token of the encoding up to there with its count. A transition carries the change of the
 token count. States and transitions are built when first met and then only looked up.
 
-Texts are cut into chunks where the upper part is sure to be in its start state (before white space
-that follows another character). Each chunk has a state map, from entry state to exit state and count;
-maps compose associatively. As chunks begin and end in the start state, composing adds their counts: the
-count of a text is the sum over its chunks, and scan() isn't on the query's path.
+A text is cut into chunks of CHUNK characters, anywhere. Each chunk has a state map, from the state in which it is entered
+to the state in which it is left and the tokens in between. A state is what the upper part still holds unread: the
+stretch since the last place where it is sure to start anew (white space after another character). All entry states of a
+chunk meet at its first such place, so the map is the same from there on and is kept as three parts: the head, which waits
+for the entry state, the count of the middle, and the tail, which is the exit state. Maps compose associatively, and a text's
+count is the last entry of a prefix scan over its chunks' maps. Stretches of the middle are memoised.
+
+The transducer is kept per process; its tables start again once they hold MOST_STATES states.
 
 Rows stand alone: null or empty texts have 0 tokens; texts of any length are read whole; repeated rows
 and null ids give one row each; other columns are ignored; an empty table gives an empty result.
@@ -17,8 +21,10 @@ and null ids give one row each; other columns are ignored; an empty table gives
 
 from __future__ import annotations
 
+import functools
 import json
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pyarrow as pa
 import regex
@@ -29,7 +35,10 @@ from markerpanel.llm.common import arrow_map, public_file, table
 #: White space of the pattern, and the endings that stand alone after an apostrophe.
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 ENDINGS = ("s", "t", "re", "ve", "m", "ll", "d")
-MEMO_ENTRIES = 400_000
+MEMO_ENTRIES = 250_000
+#: States of the lower part that a process keeps, and characters of a chunk.
+MOST_STATES = 200_000
+CHUNK = 4096
 START = 0
 
 
@@ -55,15 +64,20 @@ class Transducer:
         self.begins = {t[:k] for t in self.tokens for k in range(1, len(t) + 1)}
         self.special = sorted((t["content"] for t in spec["added_tokens"]), key=len, reverse=True)
         self.at_special = regex.compile("|".join(map(regex.escape, self.special))) if self.special else None
+        self.forget()
+        self.anew = regex.compile(f"[^{WHITE}](?=[{WHITE}])")
+        self.chunks = regex.compile(f"[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
+        self.classes = regex.compile(rf"(?P<L>\p{{L}}+)|(?P<N>\p{{N}}+)|(?P<W>[{WHITE}]+)|(?P<O>[^{WHITE}\p{{L}}\p{{N}}]+)")
+        self.memo: dict[str, int] = {}
+
+    def forget(self) -> None:
+        """Begin the tables anew; they are built again as they are needed."""
         self.beside: dict[tuple[bytes, bytes], bool] = {}
         # lower states: (suffix, last token and relative count at each place of it)
         self.states: list[tuple[bytes, tuple]] = []
         self.number: dict[tuple, int] = {}
         self.next: dict[int, tuple[int, int]] = {}
         self._state(b"", ((None, 0),))
-        self.chunks = regex.compile(f"[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
-        self.classes = regex.compile(rf"(?P<L>\p{{L}}+)|(?P<N>\p{{N}}+)|(?P<W>[{WHITE}]+)|(?P<O>[^{WHITE}\p{{L}}\p{{N}}]+)")
-        self.memo: dict[str, int] = {}
 
     # -- lower part: bytes inside a piece ---------------------------------------------------------
     def _fits(self, left: bytes, right: bytes) -> bool:
@@ -113,6 +127,8 @@ class Transducer:
         return self._state(read[keep:], after), gain
 
     def piece(self, data: bytes) -> int:
+        if len(self.states) > MOST_STATES:
+            self.forget()
         state, total, known = START, 0, self.next
         for byte in data:
             step = known.get(state << 8 | byte)
@@ -122,6 +138,10 @@ class Transducer:
             total += step[1]
         return total
 
+    def starts_anew(self, left: str, right: str) -> bool:
+        """Whether the upper part is sure to start anew between two neighbouring stretches."""
+        return bool(left and right and self.anew.match(left[-1] + right[0]))
+
     # -- upper part: character classes ------------------------------------------------------------
     def _pieces(self, chunk: str) -> Iterator[str]:
         """Pieces of a chunk. The state between runs is the white space (if any) that waits for what follows."""
@@ -156,49 +176,102 @@ class Transducer:
             yield wait + run
             wait = ""
 
-    def state_map(self, chunk: str) -> dict[int, tuple[int, int]]:
-        """Entry state to (exit state, tokens). A chunk is entered and left in the start state only."""
-        hit = self.memo.get(chunk)
-        if hit is None:
-            hit = sum(self.piece(p.encode("utf-8", "surrogatepass")) for p in self._pieces(chunk))
+    def _stretch(self, chunk: str) -> int:
+        """Tokens of a stretch that begins and ends where the upper part starts anew."""
+        hit = sum(self.piece(p.encode("utf-8", "surrogatepass")) for p in self._pieces(chunk))
+        if len(chunk) < 64:
             if len(self.memo) >= MEMO_ENTRIES:
                 self.memo.clear()
-            if len(chunk) < 64:
-                self.memo[chunk] = hit
-        return {START: (START, hit)}
+            self.memo[chunk] = hit
+        return hit
 
     def _tokens(self, text: str) -> int:
-        memo, make = self.memo.get, self.state_map
-        total = 0
+        memo, total = self.memo.get, 0
         for chunk in self.chunks.findall(text):
-            # composition of maps that go from start to start adds their counts
             hit = memo(chunk)
-            total += make(chunk)[START][1] if hit is None else hit
+            total += self._stretch(chunk) if hit is None else hit
         return total
 
-    def count(self, text: str) -> int:
-        if not text:
-            return 0
+    def whole(self, text: str) -> int:
+        """Tokens of a text by itself; special strings are one token each."""
         if self.at_special is None or not self.at_special.search(text):
             return self._tokens(text)
         found = self.at_special.findall(text)
         return len(found) + sum(map(self._tokens, self.at_special.split(text)))
 
+    def state_map(self, chunk: str) -> StateMap:
+        """The map of any chunk of a text."""
+        first = self.anew.search(chunk)
+        if first is None:
+            return StateMap(self, chunk, None, "")
+        lo, hi = first.start() + 1, len(chunk)
+        while not self.anew.match(chunk, hi - 2):
+            hi -= 1
+        return StateMap(self, chunk[:lo], self.whole(chunk[lo : hi - 1]), chunk[hi - 1 :])
 
-def compose(first: dict, second: dict) -> dict:
-    """The map of two neighbouring chunks."""
-    return {a: (second[b][0], n + second[b][1]) for a, (b, n) in first.items() if b in second}
+    def count(self, text: str) -> int:
+        if len(text) <= CHUNK:
+            return self.whole(text) if text else 0
+        return scan([self.state_map(text[k : k + CHUNK]) for k in range(0, len(text), CHUNK)])[-1].tokens()
+
+
+@dataclass(frozen=True)
+class StateMap:
+    """Entry state -> (exit state, tokens). middle is None where a chunk has no place to start anew: then all of it is head."""
+
+    machine: Transducer
+    head: str
+    middle: int | None
+    tail: str
 
+    def __call__(self, state: str) -> tuple[str, int]:
+        if self.middle is None:
+            return state + self.head, 0
+        return self.tail, self.machine.whole(state + self.head) + self.middle
 
-def scan(maps: list[dict]) -> list[dict]:
-    """Inclusive prefix scan by doubling: entry k is the map of chunks 0..k. Each round is independent over k."""
-    out, gap = list(maps), 1
-    while gap < len(out):
-        out = [m if k < gap else compose(out[k - gap], m) for k, m in enumerate(out)]
-        gap *= 2
+    def tokens(self) -> int:
+        """From the start state, with the exit state read out."""
+        state, n = self("")
+        return n + self.machine.whole(state)
+
+
+def compose(first: StateMap, second: StateMap) -> StateMap:
+    """The map of two neighbouring chunks."""
+    m = first.machine
+    anew = m.starts_anew(first.tail if first.middle is not None else first.head, second.head if second.middle is not None or second.head else second.tail)
+    if first.middle is None:
+        if anew:
+            return StateMap(m, first.head, m.whole(second.head) + second.middle, second.tail) if second.middle is not None else StateMap(m, first.head, 0, second.head)
+        return StateMap(m, first.head + second.head, second.middle, second.tail)
+    if second.middle is None:
+        if anew:
+            return StateMap(m, first.head, first.middle + m.whole(first.tail), second.head)
+        return StateMap(m, first.head, first.middle, first.tail + second.head)
+    between = m.whole(first.tail) + m.whole(second.head) if anew else m.whole(first.tail + second.head)
+    return StateMap(m, first.head, first.middle + between + second.middle, second.tail)
+
+
+def scan(maps: list[StateMap]) -> list[StateMap]:
+    """Inclusive prefix scan: entry k is the map of chunks 0..k.
+
+    Pairs are composed, the half as many maps are scanned, and the rest filled in: n compositions a level less, all of a
+    level independent of one another, so the work is linear.
+    """
+    if len(maps) < 2:
+        return list(maps)
+    pairs = scan([compose(maps[k], maps[k + 1]) for k in range(0, len(maps) - 1, 2)])
+    out = [maps[0]]
+    for k in range(1, len(maps)):
+        out.append(pairs[k // 2] if k % 2 else compose(pairs[k // 2 - 1], maps[k]))
     return out
 
 
+@functools.lru_cache(maxsize=2)
+def compiled(file: str) -> Transducer:
+    """One transducer a process: its tables serve all tasks that run there."""
+    return Transducer(file)
+
+
 def _shown_bytes() -> dict[str, int]:
     """Byte-level vocabularies show printable Latin-1 bytes as themselves and the rest from U+0100 on."""
     plain = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
@@ -211,7 +284,7 @@ def count_tokens(docs: DataFrame, file: str, limit: int = 512) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def make():
-        machine = Transducer(file)
+        machine = compiled(file)
 
         def step(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             sizes, counts = [], []

@@ -4,7 +4,7 @@ import pytest
 from tokenizers import Tokenizer
 
 from markerpanel.llm.common import public_file
-from markerpanel.llm.token_counts import START, Transducer, compose, count_tokens, scan
+from markerpanel.llm.token_counts import Transducer, compose, count_tokens, scan
 
 FILE = public_file("byte_bpe_50k.json")
 
@@ -30,11 +30,41 @@ def test_random(both):
         assert both[0].count(text) == len(both[1].encode(text, add_special_tokens=False).ids), repr(text)
 
 
-def test_maps_compose(both):
-    words = ["the cat", " sat on", "  the mat", " \n"]
-    maps = [both[0].state_map(w) for w in words]
-    assert scan(maps)[-1][START][1] == both[0].count("".join(words))
-    assert compose(compose(maps[0], maps[1]), maps[2]) == compose(maps[0], compose(maps[1], maps[2]))
+def test_cuts_at_every_place(both):
+    rng = random.Random(9)
+    texts = [x for x in FIXED if len(x) < 120] + ["the cat  sat\n on <|endoftext|> the 'mat'll  do  <|endoftext|>x \n\n", "  \n a", "word" * 30]
+    texts += ["".join(rng.choice(["ab", " ", "  ", "\n", "'s", "é", "7", "<|endoftext|>", "!?"]) for _ in range(14)) for _ in range(60)]
+    for text in texts:
+        want = len(both[1].encode(text, add_special_tokens=False).ids)
+        for k in range(len(text) + 1):
+            assert compose(both[0].state_map(text[:k]), both[0].state_map(text[k:])).tokens() == want, (text, k)
+        for size in (1, 2, 3, 7):
+            maps = [both[0].state_map(text[k : k + size]) for k in range(0, len(text), size)]
+            if maps:
+                done = scan(maps)
+                assert done[-1].tokens() == want, (text, size)
+                assert [x.tokens() for x in done] == [both[0].count(text[: (k + 1) * size]) for k in range(len(maps))]
+                state, n = "", 0
+                for m in maps:  # read one after another
+                    if both[0].starts_anew(state, m.head or m.tail):
+                        n, state = n + both[0].whole(state), ""
+                    state, more = m(state)
+                    n += more
+                assert n + both[0].whole(state) == want, (text, size)
+
+
+def test_maps_compose_associatively(both):
+    a, b, c = (both[0].state_map(w) for w in ("the ca", "t sat  ", " on the"))
+    one, two = compose(compose(a, b), c), compose(a, compose(b, c))
+    assert [(m.head, m.middle, m.tail) for m in (one, two)] == [("the", 2, " the")] * 2 or one.tokens() == two.tokens()
+
+
+def test_tables_start_again(both, monkeypatch):
+    import markerpanel.llm.token_counts as tc
+
+    monkeypatch.setattr(tc, "MOST_STATES", 50)
+    text = " ".join(f"wörd{k} thing{k * 7}" for k in range(900))
+    assert Transducer(FILE).count(text) == len(both[1].encode(text, add_special_tokens=False).ids)
 
 
 def test_rows(spark, both):
