@@ -29,27 +29,49 @@ def wide(panel: Panel, d: int = 1) -> tuple[DataFrame, list[tuple[str, int | Non
     return table.toDF("marker", *names).fillna(0, names).persist(), list(zip(names, (g for _, g in members), strict=True))
 
 
-def materialized(command: str, panel: Panel, d: int = 1, alpha: float = 0.05) -> DataFrame:
-    """freq, distrib, signif or depth over the materialised matrix, one test per marker."""
+def materialized(command: str, panel: Panel, d: int = 1, alpha: float = 0.05, g1=(0, None), g2=(0, None)) -> DataFrame:
+    """freq, distrib, signif, subset or depth over the materialised matrix, one test per marker. The matrix stays cached."""
     table, cols = wide(panel, d)
     n1, n2 = panel.sizes()
     count = lambda g: sum(((F.col(c) >= d).cast("int") for c, own in cols if g is None or own == g), F.lit(0)).cast("int")
-    counts = table.select("marker", count(1).alias("g1"), count(2).alias("g2"), count(None).alias("n_ind"))
+    total = sum((F.col(c).cast("long") for c, _ in cols), F.lit(0))
+    counts = table.select("marker", count(1).alias("g1"), count(2).alias("g2"), count(None).alias("n_ind"), total.alias("total_depth"))
     if command == "freq":
         return counts.filter("n_ind > 0").groupBy("n_ind").agg(F.count(F.lit(1)).alias("n_markers"))
     if command == "depth":
         each = table.select("marker", F.explode(F.array(*[F.struct(F.lit(m).alias("ind"), F.col(c).alias("depth")) for (c, _), (m, _) in zip(cols, panel.members(), strict=True)])).alias("x"))
         return each.select("x.*").groupBy("ind").agg(F.sum("depth").alias("reads"), F.count_if(F.expr("depth > 0")).alias("retained"), F.min("depth").alias("min_d"), F.max("depth").alias("max_d"), F.avg("depth").alias("mean_d"), F.expr("percentile(depth, 0.5)").alias("median"))
-    rows = counts.filter("g1 + g2 > 0").withColumns({"stat": k.yates_chi2("g1", "g2", n1, n2), "p": k.p_value("yates", "g1", "g2", n1, n2)})
+    rows = counts.filter("n_ind > 0" if command == "subset" else "g1 + g2 > 0").withColumns({"stat": k.yates_chi2("g1", "g2", n1, n2), "p": k.p_value("yates", "g1", "g2", n1, n2)})
     n = rows.count()
     rows = rows.withColumn("p_corr", F.least(F.lit(1.0), F.col("p") * n))
     if command == "signif":
         return rows.filter(F.col("p") < alpha / max(1, n)).select("marker", "g1", "g2", "stat", "p", "p_corr")
+    if command == "subset":
+        for name, (lo, hi) in (("g1", g1), ("g2", g2)):
+            rows = rows.filter(F.col(name).between(lo, 2**31 - 1 if hi is None else hi))
+        return rows.select("marker", "g1", "g2", "n_ind", "total_depth", "stat", "p", "p_corr")
     if command == "distrib":
         return rows.groupBy("g1", "g2").agg(F.count(F.lit(1)).alias("n_markers"), F.first("stat").alias("stat"), F.first("p").alias("p"))
     raise PanelError(f"command {command!r}")
 
 
+def merge_materialized(panels: list[Panel]) -> DataFrame:
+    """marker, ind, depth of tables put together as whole matrices: outer joins of the wide tables, column by column sums."""
+    members = sorted({m for p in panels for m, _ in p.members()})
+    out = None
+    for p in panels:
+        table, cols = wide(p)
+        names = {m: c for (m, _), (c, _) in zip(p.members(), cols, strict=True)}
+        table = table.select("marker", *[(F.col(names[m]) if m in names else F.lit(0)).alias(f"m{i}") for i, m in enumerate(members)])
+        if out is None:
+            out = table
+        else:
+            a, b = out.alias("a"), table.alias("b")
+            out = a.join(b, "marker", "full").select("marker", *[(F.coalesce(f"a.m{i}", F.lit(0)) + F.coalesce(f"b.m{i}", F.lit(0))).alias(f"m{i}") for i in range(len(members))])
+    each = F.explode(F.array(*[F.struct(F.lit(m).alias("ind"), F.col(f"m{i}").cast("int").alias("depth")) for i, m in enumerate(members)]))
+    return out.select("marker", each.alias("x")).select("marker", "x.*").filter("depth > 0")
+
+
 def process_serial(reads: DataFrame) -> DataFrame:
     """Counting in one task."""
     return reads.filter(dna.is_dna("seq")).coalesce(1).groupBy("seq", "ind").agg(F.count(F.lit(1)).cast("int").alias("depth"))

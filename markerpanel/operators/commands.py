@@ -127,8 +127,8 @@ def histogram(panel: Panel, d: int | None = None) -> DataFrame:
     return cells.groupBy("ind", "depth").agg(F.count(F.lit(1)).alias("freq"))
 
 
-def sparse_median(hist: DataFrame, n_markers: int, zeros: bool = True) -> DataFrame:
-    """ind, median: exact, from the histogram of nonzero depths and the number of zeros.
+def sparse_median(hist: DataFrame, n_markers: int, zeros: bool = True, *more) -> DataFrame:
+    """ind, median: exact, from the histogram of nonzero depths and the number of zeros, and ``more`` aggregates of it.
 
     Ranks are sums over the few distinct depths of an individual, so nothing is sorted but these.
     """
@@ -138,7 +138,7 @@ def sparse_median(hist: DataFrame, n_markers: int, zeros: bool = True) -> DataFr
     z = F.lit(n_markers) - F.col("filled") if zeros else F.lit(0)
     run = run.withColumns({"lo": F.floor((n - 1) / 2) - z, "hi": F.floor(n / 2) - z})
     at = lambda r: F.when(F.col(r) < 0, F.lit(0)).otherwise(F.when((F.col("upto") > F.col(r)) & (F.col("upto") - F.col("freq") <= F.col(r)), F.col("depth")))
-    return run.groupBy("ind").agg(((F.max(at("lo")) + F.max(at("hi"))) / 2).alias("median"))
+    return run.groupBy("ind").agg(((F.max(at("lo")) + F.max(at("hi"))) / 2).alias("median"), *more)
 
 
 def depth_summary(panel: Panel, d: int = 1, zeros: bool = True) -> DataFrame:
@@ -146,15 +146,13 @@ def depth_summary(panel: Panel, d: int = 1, zeros: bool = True) -> DataFrame:
 
     Zeros count in min, mean and median, unless zeros is off.
     """
-    hist = histogram(panel, d).persist()
     cells = panel.cells
     if d > 1:
         cells = cells.groupBy("marker").agg(F.max("depth").alias("most")).filter(F.col("most") >= d)
     m = cells.select("marker").distinct().count()
     n = F.lit(m) if zeros else F.col("retained")
-    own = hist.groupBy("ind").agg(F.sum(F.col("depth").cast("long") * F.col("freq")).alias("reads"), F.sum("freq").alias("retained"), F.min("depth").alias("least"), F.max("depth").alias("max_d"))
+    own = sparse_median(histogram(panel, d), m, zeros, F.sum(F.col("depth").cast("long") * F.col("freq")).alias("reads"), F.sum("freq").alias("retained"), F.min("depth").alias("least"), F.max("depth").alias("max_d"))
     own = own.withColumn("min_d", F.when(F.lit(zeros) & (F.col("retained") < m), F.lit(0)).otherwise(F.col("least")).cast("int")).withColumn("mean_d", F.col("reads") / n)
-    own = own.join(sparse_median(hist, m, zeros), "ind")
     everyone = panel.groups.select("ind").distinct()
     out = everyone.join(F.broadcast(own), "ind", "left")
     zero = {c: F.coalesce(c, F.lit(0)) for c in ("reads", "retained", "min_d", "max_d")} | {c: F.coalesce(c, F.lit(0.0)) for c in ("mean_d", "median")}
@@ -165,6 +163,7 @@ def depth_summary(panel: Panel, d: int = 1, zeros: bool = True) -> DataFrame:
 def signif(panel: Panel, d: int = 1, test: str = "yates", correction: str = "bonferroni", alpha: float = 0.05, denominator: str = "tested", engine: str = "conditional") -> DataFrame:
     """marker, g1, g2, stat, p, p_corr of the markers that pass. Two passes: the lattice, then a broadcast join with its passing cells."""
     n1, n2 = panel.sizes()
+    presence.check_sizes(n1, n2)
     counts = presence.group_counts(panel, d, engine)
     lat = evidence.corrected(evidence.with_test(presence.lattice(counts), n1, n2, test), correction, alpha, denominator)
     passing = lat.filter("signif and g1 + g2 > 0").select("g1", "g2", "stat", "p", "p_corr")
@@ -174,6 +173,7 @@ def signif(panel: Panel, d: int = 1, test: str = "yates", correction: str = "bon
 def subset(panel: Panel, d: int = 1, g1=(0, None), g2=(0, None), ind=(0, None), test: str = "yates", correction: str = "bonferroni") -> DataFrame:
     """Markers whose carrier counts are in the ranges (ends included), with total depth, p and corrected p."""
     n1, n2 = panel.sizes()
+    presence.check_sizes(n1, n2)
     counts = presence.group_counts(panel, d)
     lat = evidence.corrected(evidence.with_test(presence.lattice(counts), n1, n2, test), correction)
     for name, (lo, hi) in (("g1", g1), ("g2", g2), ("n_ind", ind)):

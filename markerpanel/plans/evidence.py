@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -38,29 +40,38 @@ def bh_window(pvalues: DataFrame, p: str = "p") -> DataFrame:
     return ranked.withColumn("p_adj", F.least(F.lit(1.0), F.min(F.col(p) * F.col("m") / F.col("rank")).over(down))).drop("rank", "m")
 
 
-def bh_range(df: DataFrame, p: str = "p", q: float = 0.05, cells: int = 4096) -> DataFrame:
+def bh_range(df: DataFrame, p: str = "p", q: float = 0.05, cells: int = 4096, most: int = 1_000_000) -> DataFrame:
     """Rows kept by Benjamini-Hochberg at q for continuous p, without ranking rows.
 
-    Rows are counted in ``cells`` ranges of p. A range whose last rank can't pass even at its least p has no
-    cut in it, so the largest passing p lies in few ranges; only their rows are ranked. Counts are exact.
+    Rows are counted in ``cells`` ranges of -log10 p. A range whose last rank can't pass even at its least p has no
+    cut in it, so the largest passing p lies in few ranges. One with more than ``most`` distinct p is cut into
+    ``cells`` ranges of its own, and so on; only what is left is ranked. Counts are exact.
     """
-    binned = df.withColumn("_bin", F.least(F.floor(F.col(p) * cells), F.lit(cells - 1)))
-    hist = {r["_bin"]: (r.n, r.lo) for r in binned.groupBy("_bin").agg(F.count(F.lit(1)).alias("n"), F.min(p).alias("lo")).collect()}
-    m = sum(n for n, _ in hist.values())
-    before, open_bins, seen = {}, [], 0
-    for b in sorted(hist):
-        before[b] = seen
-        seen += hist[b][0]
-        if hist[b][1] <= q * seen / m:
-            open_bins.append(b)
-    cut = None
-    for b in reversed(open_bins):  # the last range with a passing rank decides
-        rows = binned.filter(F.col("_bin") == b).groupBy(p).agg(F.count(F.lit(1)).alias("n"))
-        ranked = rows.withColumn("rank", F.lit(before[b]) + F.sum("n").over(Window.orderBy(p)))
-        cut = ranked.filter(F.col(p) <= q * F.col("rank") / m).agg(F.max(p)).first()[0]
-        if cut is not None:
-            break
-    return binned.filter(F.col(p) <= (F.lit(cut) if cut is not None else F.lit(-1.0))).drop("_bin")
+
+    def largest(rows: DataFrame, lo: float, hi: float, before: int, m: int | None) -> float | None:
+        """The greatest passing p among the rows, whose -log10 p lies in lo..hi; ``before``: rows of smaller p."""
+        at = F.least(F.floor((hi - F.col("_l")) / (hi - lo) * cells), F.lit(cells - 1))
+        hist = sorted((r.b, r.n, r.least, r.most, r.kinds) for r in rows.groupBy(at.alias("b")).agg(F.count(F.lit(1)).alias("n"), F.min(p).alias("least"), F.max(p).alias("most"), F.approx_count_distinct(p).alias("kinds")).collect())
+        m = m or sum(n for _, n, *_ in hist)
+        seen, open_ = before, []
+        for b, n, least, top, kinds in hist:
+            if least <= q * (seen + n) / m:
+                open_.append((b, seen, least, top, kinds))
+            seen += n
+        for _, seen, least, top, kinds in reversed(open_):  # the last range with a passing rank decides
+            some = rows.filter(F.col(p).between(least, top))
+            if kinds > most and least < top:
+                cut = largest(some, -math.log10(max(top, 1e-300)), -math.log10(max(least, 1e-300)), seen, m)
+            else:
+                ranked = some.groupBy(p).agg(F.count(F.lit(1)).alias("n")).withColumn("rank", F.lit(seen) + F.sum("n").over(Window.orderBy(p)))
+                cut = ranked.filter(F.col(p) <= q * F.col("rank") / m).agg(F.max(p)).first()[0]
+            if cut is not None:
+                return cut
+        return None
+
+    logged = df.withColumn("_l", -F.log10(F.greatest(F.col(p), F.lit(1e-300))))
+    cut = largest(logged, 0.0, 300.0, 0, None)
+    return df.filter(F.col(p) <= (F.lit(cut) if cut is not None else F.lit(-1.0)))
 
 
 def with_test(lat: DataFrame, n1: int, n2: int, test: str = "yates") -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from markerpanel.errors import PanelError
@@ -14,31 +14,21 @@ MOST_WIDE = 1_000
 def read_fastq(spark: SparkSession, path: str) -> DataFrame:
     """ind (file name without endings), read_id, seq, qual of 4-line records; plain or gzip, one file per individual.
 
-    Lines are numbered within their file by its byte order, so a record is four rows that meet by number; a
-    gzip file is one task, since gzip can't be split.
+    Files are read as lines by the splittable text source, of any size (a gzip file is one streaming task). A line's
+    number is its place in its block of the file plus the lines of the blocks before, so a record is four lines that
+    meet by number; they are put together before the shuffle where one task has them all.
     """
-    import pyarrow as pa
-
-    files = spark.read.format("binaryFile").load(path).select("path", "content")
-
-    def run(batches):
-        import gzip
-
-        for batch in batches:
-            for name, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                raw = data.as_py()
-                lines = (gzip.decompress(raw) if raw[:2] == b"\x1f\x8b" else raw).decode().split("\n")
-                if lines and not lines[-1]:
-                    lines.pop()
-                if len(lines) % 4 or any(not h.startswith("@") for h in lines[::4]) or any(not p.startswith("+") for p in lines[2::4]):
-                    raise ValueError(f"{name} isn't a file of 4-line records")
-                ind = name.rsplit("/", 1)[-1].split(".")[0]
-                for lo in range(0, len(lines), 40_000):
-                    part = lines[lo : lo + 40_000]
-                    n = len(part) // 4
-                    yield pa.RecordBatch.from_arrays([pa.array([ind] * n), pa.array(range(lo // 4, lo // 4 + n), pa.int64()), pa.array([s.strip().upper() for s in part[1::4]]), pa.array([q.strip() for q in part[3::4]])], names=["ind", "read_id", "seq", "qual"])
-
-    return files.mapInArrow(run, "ind string, read_id long, seq string, qual string")
+    lines = spark.read.text(path).select("value", F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_block_start").alias("block"), F.monotonically_increasing_id().alias("at"))
+    blocks = lines.groupBy("file", "block").agg(F.min("at").alias("first"), F.count(F.lit(1)).alias("n"))
+    before = Window.partitionBy("file").orderBy("block")
+    blocks = blocks.select("file", "block", "first", F.coalesce(F.sum("n").over(before.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"), F.sum("n").over(Window.partitionBy("file")).alias("whole"))
+    named = lines.join(F.broadcast(blocks), ["file", "block"]).withColumn("number", F.col("at") - F.col("first") + F.col("before"))
+    part = lambda k: F.max(F.when(F.col("number") % 4 == k, F.trim("value")))
+    records = named.groupBy("file", F.floor(F.col("number") / 4).alias("read_id")).agg(part(0).alias("head"), part(1).alias("seq"), part(2).alias("plus"), part(3).alias("qual"), F.any_value("whole").alias("whole"))
+    sound = F.col("head").startswith("@") & F.col("plus").startswith("+") & (F.col("whole") % 4 == 0)
+    ind = F.regexp_extract("file", "([^/.]+)[^/]*$", 1)
+    seq = F.when(sound, F.upper("seq")).otherwise(F.raise_error(F.concat("file", F.lit(" isn't a file of 4-line records"))))
+    return records.select(ind.alias("ind"), "read_id", seq.alias("seq"), "qual")
 
 
 def write_wide(panel: Panel, path: str, header: str = "") -> None:

@@ -70,12 +70,21 @@ def _(s, d):
 
 
 SIGNIF = f"SELECT marker, {o.i('g1')}, {o.i('g2')}, {o.r('stat')}, {o.nl('p', 'nl_p')}, {o.nl('least(1.0, p * m)', 'nl_p_corr')} FROM tests WHERE p < 0.05 / m"
-for _name, _p, _d in (("w1_signif", "P2", 1), ("w1_signif_depth3", "P2", 3), ("w6_signif", "P6", 10), ("w1_signif_wide", "P11", 1)):
+for _name, _p, _d in (("w1_signif", "P2", 1), ("w1_signif_depth3", "P2", 3), ("w6_signif", "P7", 2), ("w1_signif_wide", "P4", 1)):
     query(_name, W + f"{o.panel(_p)}, {o.counts(_d)}, {o.tests()} {SIGNIF}")(lambda s, d, p=_p, m=_d: nlog(commands.signif(P[p](s, d), m), "p", "p_corr"))
 
 query("w1_signif_none", W + f"{o.panel('P3')}, {o.counts()}, {o.tests()} SELECT marker, {o.i('g1')}, {o.i('g2')}, {o.r('stat')}, {o.nl('p', 'nl_p')}, {o.nl('p', 'nl_p_corr')} FROM tests WHERE p < 0.05")(lambda s, d: nlog(commands.signif(P["P3"](s, d), correction="none"), "p", "p_corr"))
 query("w1_signif_fdr", W + f"{o.panel('P3')}, {o.counts()}, {o.fisher()}, {o.step_up()} SELECT marker, {o.i('g1')}, {o.i('g2')}, {o.nl('p', 'nl_p')}, {o.nl('p_adj', 'nl_p_corr')} FROM adj WHERE p_adj <= 0.05")(lambda s, d: nlog(commands.signif(P["P3"](s, d), test="fisher", correction="fdr").drop("stat"), "p", "p_corr"))
-query("w1_signif_all_denominator", W + f"{o.panel('P1')}, {o.counts(keep='true')}, {o.tests()} SELECT marker, {o.i('g1')}, {o.i('g2')}, {o.r('stat')}, {o.nl('p', 'nl_p')}, {o.nl('least(1.0, p * m)', 'nl_p_corr')} FROM tests WHERE p < 0.5 / m AND g1 + g2 > 0")(lambda s, d: nlog(commands.signif(P["P1"](s, d), alpha=0.5, denominator="all"), "p", "p_corr"))
+# individuals from 24 on are in neither group, so that markers that only they carry count in one denominator and not in the other
+PARTLY = f"{o.panel('P2', 'all_')}, cells AS (SELECT * FROM all_cells), groups AS (SELECT ind, CASE WHEN ind < 24 THEN grp END AS grp FROM all_groups)"
+
+
+def _partly(s, d):
+    p = P["P2"](s, d)
+    return pn.Panel(p.cells, p.groups.withColumn("grp", F.when(F.col("ind") < 24, F.col("grp"))))
+
+
+query("w1_signif_all_denominator", W + f"{PARTLY}, {o.counts(keep='true')}, {o.tests()} SELECT marker, {o.i('g1')}, {o.i('g2')}, {o.r('stat')}, {o.nl('p', 'nl_p')}, {o.nl('least(1.0, p * m)', 'nl_p_corr')} FROM tests WHERE p < 0.05 / m AND g1 + g2 > 0")(lambda s, d: nlog(commands.signif(_partly(s, d), denominator="all"), "p", "p_corr"))
 
 SUBSET = f"SELECT marker, {o.i('g1')}, {o.i('g2')}, {o.i('n_ind')}, {o.i('total_depth')}, {o.r('stat')}, {o.nl('p', 'nl_p')}, {o.nl('least(1.0, p * m)', 'nl_p_corr')} FROM tests JOIN (SELECT marker, sum(depth) AS total_depth FROM cells GROUP BY marker) USING (marker) WHERE "
 query("w1_subset", W + f"{o.panel('P3')}, {o.counts(keep='true')}, {o.tests()} {SUBSET} g1 >= 8 AND g2 <= 4")(lambda s, d: nlog(commands.subset(P["P3"](s, d), g1=(8, None), g2=(0, 4)), "p", "p_corr"))
@@ -298,6 +307,7 @@ query("c20_error_rates")(lambda s, d: robustness.empirical_error_rates(P["P3"](s
 query("b1_freq", SQL["w1_freq"])(lambda s, d: baselines.materialized("freq", P["P2"](s, d)))
 query("b1_signif", SQL["w1_signif"])(lambda s, d: nlog(baselines.materialized("signif", P["P2"](s, d)), "p", "p_corr"))
 query("b1_distrib", W + f"{o.panel('P2')}, {o.counts()}, {o.tests()} SELECT {o.i('g1')}, {o.i('g2')}, count(*) AS n_markers, {o.r('any_value(stat)', 'stat')}, {o.nl('any_value(p)', 'nl_p')} FROM tests GROUP BY g1, g2")(lambda s, d: nlog(baselines.materialized("distrib", P["P2"](s, d)), "p"))
+query("b1_subset", SQL["w1_subset"])(lambda s, d: nlog(baselines.materialized("subset", P["P3"](s, d), g1=(8, None), g2=(0, 4)), "p", "p_corr"))
 query("b1_depth", SQL["w1_depth"])(lambda s, d: baselines.materialized("depth", P["P1"](s, d)))
 query("b10_per_marker", W + f"{o.panel('P3')}, {o.counts()}, {o.tests()}, {o.graded()} SELECT marker, {o.i('g1')}, {o.i('g2')}, {o.i('n_ind')}, {o.nl('p', 'nl_p')}, {o.r('log_bf')}, {o.r('posterior')} FROM graded")(lambda s, d: nlog(baselines.evidence_per_marker(P["P3"](s, d)), "p"))
 query("b10_per_marker_arrow", SQL["b10_per_marker"])(lambda s, d: nlog(baselines.evidence_per_marker(P["P3"](s, d), engine="arrow"), "p"))
@@ -353,12 +363,14 @@ SELECT CAST(a.k AS BIGINT) AS k, count(*) AS cases, count(*) FILTER (WHERE a.v =
 query("w8_kmer_recall", AUDIT)(lambda s, d: robustness.kmer_recall(_tags(s, d)))
 
 
-@query("w21_merge_lanes", W + f"{o.panel('P2')} SELECT marker, ind, CAST(depth AS BIGINT) AS depth FROM cells")
-def _(s, d):
+def _lanes(s, d):
     rows = pn.planted_strict_rows(s, d)
     groups = P["P2"](s, d).groups
-    lanes = [pn.counted(rows.filter(F.col("l_returnflag") == f).select("marker", "ind"), groups) for f in ("A", "N", "R")]
-    return commands.merge_panels(lanes).cells
+    return [pn.counted(rows.filter(F.col("l_returnflag") == f).select("marker", "ind"), groups) for f in ("A", "N", "R")]
+
+
+query("w21_merge_lanes", W + f"{o.panel('P2')} SELECT marker, ind, CAST(depth AS BIGINT) AS depth FROM cells")(lambda s, d: commands.merge_panels(_lanes(s, d)).cells)
+query("b1_merge", SQL["w21_merge_lanes"])(lambda s, d: baselines.merge_materialized(_lanes(s, d)))
 
 
 @query("w21_merge_prefix", W + f"{o.panel('P3')} SELECT x || ':' || ind AS ind, CAST(sum(depth) AS BIGINT) AS depth FROM cells, (SELECT unnest(['0', '1']) AS x) GROUP BY ALL")
@@ -417,7 +429,7 @@ def _(s, d):
     return presence.back(c, presence.lattice(c).select("g1", "g2", k.log_bf("g1", "g2", *p.sizes()).alias("log_bf"))).select("marker", "log_bf")
 
 
-query("op_zero_fill", W + f"{P3C}, m AS (SELECT DISTINCT marker FROM cells WHERE marker < 40) SELECT marker, {o.i('groups.ind', 'ind')}, {o.i('coalesce(depth, 0)', 'depth')} FROM m CROSS JOIN groups LEFT JOIN cells USING (marker, ind)")(lambda s, d: (lambda p: p.cells.filter("marker < 40").select("marker").distinct().join(F.broadcast(p.groups.select("ind"))).join(p.cells, ["marker", "ind"], "left").select("marker", "ind", F.coalesce("depth", F.lit(0)).alias("depth")))(P["P3"](s, d)))
+query("op_zero_fill", W + f"{P3C}, m AS (SELECT DISTINCT marker FROM cells) SELECT marker, {o.i('groups.ind', 'ind')}, {o.i('coalesce(depth, 0)', 'depth')} FROM m CROSS JOIN groups LEFT JOIN cells USING (marker, ind)")(lambda s, d: (lambda p: p.cells.select("marker").distinct().withColumn("ind", F.explode(F.array(*[F.lit(m) for m, _ in p.members()]))).join(p.cells, ["marker", "ind"], "left").select("marker", "ind", F.coalesce("depth", F.lit(0)).alias("depth")))(P["P3"](s, d)))
 query("op_backend_diff", W + f"{o.panel('P11')}, {o.counts(keep='true')} SELECT count(*) AS n, CAST(0 AS BIGINT) AS missing, 0.0::DOUBLE AS worst_abs, 0.0::DOUBLE AS worst_rel FROM counts")(lambda s, d: (lambda p: ms.max_rel_diff(presence.group_counts(p, engine="bitset").withColumn("g1", F.col("g1").cast("double")), presence.group_counts(p).withColumn("g1", F.col("g1").cast("double")), ["marker"], "g1"))(P["P11"](s, d)))
 query("op_overlap_semi", W + f"{P3C}, {o.counts()}, {o.tests()} SELECT p_partkey FROM part WHERE EXISTS (SELECT 1 FROM tests WHERE p < 0.05 AND marker = p_partkey // 2)")(lambda s, d: load(s, d, "part").select("p_partkey").join(commands.signif(P["P3"](s, d), correction="none").select("marker"), F.expr("p_partkey div 2") == F.col("marker"), "left_semi"))
 query("op_overlap_anti", W + f"{P3C}, {o.counts()}, {o.tests()} SELECT marker FROM counts WHERE marker NOT IN (SELECT marker FROM tests WHERE p < 0.05)")(lambda s, d: (lambda p: presence.group_counts(p).filter("g1 + g2 > 0").select("marker").join(commands.signif(p, correction="none").select("marker"), "marker", "left_anti"))(P["P3"](s, d)))
@@ -432,7 +444,7 @@ def _(s, d):
     return rows.withColumn("last_purchase", F.last("pid", True).over(w)).filter("pid is null").select("event_id", "last_purchase")
 
 
-query("op_kmer_windows", W + TAGS + " SELECT marker, substr(marker, CAST(i AS INT), 24) AS w, CAST(i - 1 AS BIGINT) AS pos FROM (SELECT marker, unnest(range(1, length(marker) - 22)) AS i FROM tags WHERE marker LIKE 'ACG%')")(lambda s, d: _tags(s, d).filter(F.col("marker").startswith("ACG")).select("marker", F.posexplode(dna.kmers("marker", 24)).alias("pos", "w")))
+query("op_kmer_windows", W + TAGS + " SELECT marker, count(*) AS n, count(DISTINCT w) AS n_windows, min(w) AS least, max(w) AS greatest FROM (SELECT marker, substr(marker, CAST(i AS INT), 24) AS w FROM (SELECT marker, unnest(range(1, length(marker) - 22)) AS i FROM tags)) GROUP BY marker")(lambda s, d: _tags(s, d).select("marker", F.explode(dna.kmers("marker", 24)).alias("w")).groupBy("marker").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("w").alias("n_windows"), F.min("w").alias("least"), F.max("w").alias("greatest")))
 query("op_depth_counts", W + f"{P2C} SELECT {o.i('depth')}, count(*) AS freq FROM cells GROUP BY depth")(lambda s, d: _cells_of(s, d, "P2").groupBy("depth").agg(F.count(F.lit(1)).alias("freq")))
 query("op_distinct_exact", W + TAGS + " SELECT count(*) AS n FROM tags")(lambda s, d: _cells_of(s, d, "P9").agg(F.countDistinct("marker").alias("n")))
 query("op_distinct_tags")(lambda s, d: _cells_of(s, d, "P9").agg(F.approx_count_distinct("marker").alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("marker")).alias("sketch")))

@@ -103,6 +103,18 @@ def test_files(spark, tmp_path):
     (tmp_path / "fq/ind2.fq.gz").write_bytes(gzip.compress(text.encode()))
     reads = files.read_fastq(spark, f"{tmp_path}/fq")
     assert sorted((r.ind, r.seq) for r in reads.collect()) == [(i, s) for i in ("ind1", "ind2") for s in ("ACGN", "ACGT")]
+    (tmp_path / "big").mkdir()
+    (tmp_path / "big/ind9.fastq").write_text("".join(f"@r{k}\nACGT{'ACGT'[k % 4] * (k % 9)}\n+\n@III{'@' * (k % 9)}\n" for k in range(5000)))
+    spark.conf.set("spark.sql.files.maxPartitionBytes", "10000")
+    try:
+        big = files.read_fastq(spark, f"{tmp_path}/big")
+        assert sorted((r.read_id, r.seq, r.qual) for r in big.collect()) == [(k, "ACGT" + "ACGT"[k % 4] * (k % 9), "@III" + "@" * (k % 9)) for k in range(5000)]
+    finally:
+        spark.conf.unset("spark.sql.files.maxPartitionBytes")
+    (tmp_path / "bad").mkdir()
+    (tmp_path / "bad/x.fastq").write_text("@r\nACGT\n+\n")
+    with pytest.raises(Exception, match="4-line records"):
+        files.read_fastq(spark, f"{tmp_path}/bad").collect()
     p = pn.planted_strict(spark, SMALL)
     files.write_panel(p, f"{tmp_path}/panel")
     back = files.read_panel(spark, f"{tmp_path}/panel")
@@ -131,6 +143,18 @@ def test_sql_functions(spark):
     got = df.select(F.expr("mp_yates_chi2(g1, g2, 10, 10)").alias("a"), k.yates_chi2("g1", "g2", 10, 10).alias("b"), F.expr("mp_posterior_fixed(g1, g2, 10, 10, 0.9D, 0.01D)").alias("c"), k.posterior("g1", "g2", 10, 10).alias("d")).collect()
     for r in got:
         assert r.a == pytest.approx(r.b) and r.c == pytest.approx(r.d)
+    got = df.select(F.expr("mp_g_stat(g1, g2, 10, 10)").alias("a"), k.g_stat("g1", "g2", 10, 10).alias("b")).collect()
+    assert all(r.a == pytest.approx(r.b, abs=1e-12) for r in got)
+    got = spark.sql("SELECT t.s, w.pos, w.kmer FROM VALUES ('ACGTA'), ('AC') AS t(s), LATERAL mp_kmer_windows(t.s, 4) w").collect()
+    assert sorted(map(tuple, got)) == [("ACGTA", 0, "ACGT"), ("ACGTA", 1, "CGTA")]
+
+
+def test_step_up_by_ranges_splits_again(spark):
+    df = spark.range(4000).select(F.pow(F.rand(5), F.lit(6.0)).alias("p"), "id")
+    want = {r.id for r in evidence.bh_window(df).filter("p_adj <= 0.05").collect()}
+    assert 0 < len(want) < 4000
+    for cells, most in ((4096, 10**6), (4, 50), (2, 1)):
+        assert {r.id for r in evidence.bh_range(df, cells=cells, most=most).collect()} == want, (cells, most)
 
 
 def _stream(query, name):
