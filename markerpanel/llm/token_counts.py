@@ -35,10 +35,12 @@ from markerpanel.llm.common import arrow_map, public_file, table
 #: White space of the pattern, and the endings that stand alone after an apostrophe.
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 ENDINGS = ("s", "t", "re", "ve", "m", "ll", "d")
-MEMO_ENTRIES = 250_000
+MEMO_ENTRIES = 500_000
 #: States of the lower part that a process keeps, and characters of a chunk.
-MOST_STATES = 200_000
+MOST_STATES = 400_000
 CHUNK = 4096
+#: Room for a change of the count, which is less than the longest token's bytes either way.
+GAINS = 1 << 14
 START = 0
 
 
@@ -60,7 +62,9 @@ class Transducer:
             self.rank[a, b] = k
             self.parts.setdefault(a + b, (a, b, k))
         tokens = {raw(t) for t in model["vocab"] if all(c in shown for c in t)}
-        self.tokens = {t for t in tokens if len(t) == 1 or t in self.parts}
+        self.tokens = {t: t for t in tokens if len(t) == 1 or t in self.parts}
+        if max(map(len, self.tokens)) >= GAINS // 2:
+            raise ValueError("a token is too long for a transition")
         self.begins = {t[:k] for t in self.tokens for k in range(1, len(t) + 1)}
         self.special = sorted((t["content"] for t in spec["added_tokens"]), key=len, reverse=True)
         self.at_special = regex.compile("|".join(map(regex.escape, self.special))) if self.special else None
@@ -76,7 +80,9 @@ class Transducer:
         # lower states: (suffix, last token and relative count at each place of it)
         self.states: list[tuple[bytes, tuple]] = []
         self.number: dict[tuple, int] = {}
-        self.next: dict[int, tuple[int, int]] = {}
+        #: state << 8 | byte -> next state * GAINS + change of the count
+        self.next: dict[int, int] = {}
+        self.place: dict[tuple, tuple] = {}  # states share their places
         self._state(b"", ((None, 0),))
 
     # -- lower part: bytes inside a piece ---------------------------------------------------------
@@ -109,13 +115,13 @@ class Transducer:
             self.states.append(key)
         return self.number[key]
 
-    def _build(self, state: int, byte: int) -> tuple[int, int]:
+    def _build(self, state: int, byte: int) -> int:
         suffix, places = self.states[state]
         read = suffix + bytes((byte,))
         n = len(read)
         for k in range(n):  # the token that ends here: just one fits what stands before it
             token = read[k:]
-            if token in self.tokens:
+            if (token := self.tokens.get(token)) is not None:
                 before, count = places[k]
                 if before is None or self._fits(before, token):
                     break
@@ -123,8 +129,9 @@ class Transducer:
             raise AssertionError("every single byte is a token")
         gain = count + 1
         keep = next((k for k in range(n) if read[k:] in self.begins), n)
-        after = tuple((t, c - gain) for t, c in places[keep:]) + ((token, 0),)
-        return self._state(read[keep:], after), gain
+        share = self.place.setdefault
+        after = tuple(share(p, p) for p in [(t, c - gain) for t, c in places[keep:]] + [(token, 0)])
+        return self._state(read[keep:], after) * GAINS + gain + GAINS // 2
 
     def piece(self, data: bytes) -> int:
         if len(self.states) > MOST_STATES:
@@ -134,9 +141,9 @@ class Transducer:
             step = known.get(state << 8 | byte)
             if step is None:
                 step = known[state << 8 | byte] = self._build(state, byte)
-            state = step[0]
-            total += step[1]
-        return total
+            state = step // GAINS
+            total += step % GAINS
+        return total - len(data) * (GAINS // 2)
 
     def starts_anew(self, left: str, right: str) -> bool:
         """Whether the upper part is sure to start anew between two neighbouring stretches."""
