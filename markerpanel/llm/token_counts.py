@@ -11,7 +11,7 @@ to the state in which it is left and the tokens in between. A state is what the
 stretch since the last place where it is sure to start anew (white space after another character). All entry states of a
 chunk meet at its first such place, so the map is the same from there on and is kept as three parts: the head, which waits
 for the entry state, the count of the middle, and the tail, which is the exit state. Maps compose associatively, and a text's
-count is the last entry of a prefix scan over its chunks' maps. Stretches of the middle are memoised.
+count is the last entry of a prefix scan over its chunks' maps. Stretches of the middle and their pieces are memoised.
 
 The transducer is kept per process; its tables start again once they hold MOST_STATES states.
 
@@ -23,6 +23,7 @@ from __future__ import annotations
 
 import functools
 import json
+import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -44,6 +45,22 @@ GAINS = 1 << 14
 START = 0
 
 
+class Known(dict):
+    """Token counts by string; what it doesn't hold is counted, and kept if short."""
+
+    def __init__(self, count):
+        super().__init__()
+        self.count = count
+
+    def __missing__(self, text: str) -> int:
+        n = self.count(text)
+        if len(text) < 64:
+            if len(self) >= MEMO_ENTRIES:
+                self.clear()
+            self[text] = n
+        return n
+
+
 class Transducer:
     """Compiled from a tokenizers file whose model is byte-level BPE."""
 
@@ -70,9 +87,11 @@ class Transducer:
         self.at_special = regex.compile("|".join(map(regex.escape, self.special))) if self.special else None
         self.forget()
         self.anew = regex.compile(f"[^{WHITE}](?=[{WHITE}])")
-        self.chunks = regex.compile(f"[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
-        self.classes = regex.compile(rf"(?P<L>\p{{L}}+)|(?P<N>\p{{N}}+)|(?P<W>[{WHITE}]+)|(?P<O>[^{WHITE}\p{{L}}\p{{N}}]+)")
-        self.memo: dict[str, int] = {}
+        self.chunks = re.compile(f"[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
+        # runs of one class with the space before them; of white space the last character waits for what follows
+        self.cut = regex.compile(rf"'(?:{'|'.join(ENDINGS)})| ?(?:\p{{L}}+|\p{{N}}+|[^{WHITE}\p{{L}}\p{{N}}]+)|[{WHITE}]+(?![^{WHITE}])|[{WHITE}]+")
+        self.of_chunk = Known(self._stretch)
+        self.of_piece = Known(self._piece)
 
     def forget(self) -> None:
         """Begin the tables anew; they are built again as they are needed."""
@@ -150,54 +169,15 @@ class Transducer:
         return bool(left and right and self.anew.match(left[-1] + right[0]))
 
     # -- upper part: character classes ------------------------------------------------------------
-    def _pieces(self, chunk: str) -> Iterator[str]:
-        """Pieces of a chunk. The state between runs is the white space (if any) that waits for what follows."""
-        wait = ""
-        runs = [(m.lastgroup, m.group()) for m in self.classes.finditer(chunk)]
-        k = 0
-        while k < len(runs):
-            kind, run = runs[k]
-            k += 1
-            if kind == "W":
-                if k == len(runs):  # nothing follows: the run is whole
-                    yield run
-                elif run[-1] == " ":
-                    if len(run) > 1:
-                        yield run[:-1]
-                    wait = " "
-                else:
-                    if len(run) > 1:
-                        yield run[:-1]
-                    yield run[-1]
-                continue
-            if kind == "O" and run[0] == "'" and not wait and len(run) == 1 and k < len(runs) and runs[k][0] == "L":
-                end = next((e for e in ENDINGS if runs[k][1].startswith(e)), None)
-                if end:
-                    yield run + end
-                    rest = runs[k][1][len(end) :]
-                    k += 1
-                    if rest:
-                        k -= 1
-                        runs[k] = ("L", rest)
-                    continue
-            yield wait + run
-            wait = ""
+    def _piece(self, piece: str) -> int:
+        return self.piece(piece.encode("utf-8", "surrogatepass"))
 
     def _stretch(self, chunk: str) -> int:
         """Tokens of a stretch that begins and ends where the upper part starts anew."""
-        hit = sum(self.piece(p.encode("utf-8", "surrogatepass")) for p in self._pieces(chunk))
-        if len(chunk) < 64:
-            if len(self.memo) >= MEMO_ENTRIES:
-                self.memo.clear()
-            self.memo[chunk] = hit
-        return hit
+        return sum(map(self.of_piece.__getitem__, self.cut.findall(chunk)))
 
     def _tokens(self, text: str) -> int:
-        memo, total = self.memo.get, 0
-        for chunk in self.chunks.findall(text):
-            hit = memo(chunk)
-            total += self._stretch(chunk) if hit is None else hit
-        return total
+        return sum(map(self.of_chunk.__getitem__, self.chunks.findall(text)))
 
     def whole(self, text: str) -> int:
         """Tokens of a text by itself; special strings are one token each."""
