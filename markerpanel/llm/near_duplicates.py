@@ -209,6 +209,36 @@ def op6(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+#: All pairs that share a shingle, counted; components by recursion from the smaller id.
+OP6_SQL = r"""
+WITH RECURSIVE words AS (
+    SELECT doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w
+    FROM documents
+), sets AS (
+    SELECT doc_id, CASE WHEN len(w) = 0 THEN CAST([] AS VARCHAR[]) WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+        ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) END AS s
+    FROM words
+), items AS (
+    SELECT doc_id, len(s) AS n, unnest(s) AS h FROM sets
+), links AS (
+    SELECT a.doc_id AS x, b.doc_id AS y
+    FROM items a JOIN items b ON a.h = b.h AND a.doc_id < b.doc_id
+    GROUP BY a.doc_id, b.doc_id, a.n, b.n
+    HAVING 100 * count(*) >= 85 * (a.n + b.n - count(*))
+), edges AS (
+    SELECT x, y FROM links UNION ALL SELECT y, x FROM links
+), reach(doc_id, root) AS (
+    SELECT doc_id, doc_id FROM documents
+    UNION
+    SELECT e.y, r.root FROM reach r JOIN edges e ON e.x = r.doc_id AND e.y > r.root
+), least AS (
+    SELECT doc_id, min(root) AS component_id FROM reach GROUP BY doc_id
+)
+SELECT s.doc_id, CAST(len(s.s) AS BIGINT) AS n_shingles, l.component_id, s.doc_id = l.component_id AS kept
+FROM sets s JOIN least l ON l.doc_id = s.doc_id
+"""
+
+
 def brute(rows: list[tuple], least: int = LEAST) -> dict:
     """Slow check: {doc_id: (set size, component)}."""
     import re

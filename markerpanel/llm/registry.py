@@ -24,5 +24,6 @@ def oracle_sql() -> dict:
     return {
         "op3_warc": archives.OP3_SQL,
         "op5_quality_rules": quality_rules.OP5_SQL,
+        "op6_near_duplicates": near_duplicates.OP6_SQL,
         "op10_decontamination": decontamination.OP10_SQL,
     }
