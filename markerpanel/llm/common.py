@@ -9,6 +9,7 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -49,6 +50,15 @@ def written(df: DataFrame) -> DataFrame:
     return out
 
 
+def held(df: DataFrame) -> DataFrame:
+    """Keep a table that several steps read on the executors' disks: no files in the shared folder.
+
+    Lineage stays, so what a lost executor held is computed again. For steps of one job; loops use written().
+    The caller unpersists it after the last action that needs it.
+    """
+    return df.persist(StorageLevel.DISK_ONLY)
+
+
 def discard(*tables: DataFrame) -> None:
     """Delete tables of written() that nothing will read again."""
     for t in tables:

@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from markerpanel.llm.common import discard, written
+from markerpanel.llm.common import discard, held, written
 
 #: Edges that one task joins up.
 SOLO = 1_000_000
@@ -49,9 +49,12 @@ def _solo(links: DataFrame) -> DataFrame:
 
 def components(edges: DataFrame, solo: int = SOLO) -> DataFrame:
     """edges (a, b): longs, any order, loops and repeats allowed. Returns (node, component): the smallest node reached."""
-    links = written(edges.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    if links.count() <= solo:
-        return written(_solo(links))
+    first = held(edges.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
+    few = first.count() <= solo
+    links = written(_solo(first) if few else first)
+    first.unpersist()
+    if few:
+        return links
     while True:
         both = links.select("u", "v").unionAll(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
         # large star: every larger neighbour goes to the smallest of the neighbourhood

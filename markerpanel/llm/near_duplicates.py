@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from markerpanel.llm import textbytes as tb
-from markerpanel.llm.common import arrow_map, one_row_per_id, shown, sliced, strings, table, written
+from markerpanel.llm.common import arrow_map, held, one_row_per_id, shown, sliced, strings, table, written
 from markerpanel.llm.components import components
 
 #: Similarity in hundredths.
@@ -150,38 +150,38 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, least: int) -> DataFrame:
     return both.filter(100 * shared >= least * (F.col("na") + F.col("nb") - shared)).select("a", "b")
 
 
-def _star(members: DataFrame, sizes: DataFrame, least: int) -> DataFrame:
-    """Candidates (a, b): each member and the best connected member of its bucket."""
+def _star(members: DataFrame, sizes: DataFrame, least: int) -> tuple[DataFrame, DataFrame]:
+    """Candidates (a, b): each member and the best connected member of its bucket; and the held table they rest on."""
     buckets = members.groupBy("band").agg(F.count(F.lit(1)).alias("m"))
     degree = members.join(buckets, "band").groupBy("doc").agg(F.sum(F.col("m") - 1).alias("deg"))
-    ranked = members.join(degree.join(sizes, "doc"), "doc")
-    ranked = written(ranked)
+    ranked = held(members.join(degree.join(sizes, "doc"), "doc"))
     hubs = ranked.groupBy("band").agg(F.max(F.struct("deg", (-F.col("doc")).alias("neg"), F.col("n").alias("hn"))).alias("h"))
     edges = ranked.join(hubs.select("band", (-F.col("h.neg")).alias("hub"), F.col("h.hn").alias("hn")), "band").filter("doc <> hub")
     fits = 100 * F.least("n", "hn") >= least * F.greatest("n", "hn")
-    return edges.filter(fits).select(F.least("doc", "hub").alias("a"), F.greatest("doc", "hub").alias("b")).distinct()
+    return edges.filter(fits).select(F.least("doc", "hub").alias("a"), F.greatest("doc", "hub").alias("b")).distinct(), ranked
 
 
-def _unsettled(members: DataFrame, groups: DataFrame, sets: DataFrame, parts: DataFrame, least: int) -> DataFrame:
-    """Pairs of one bucket in different components whose possible overlap suffices."""
+def _unsettled(members: DataFrame, groups: DataFrame, sets: DataFrame, parts: DataFrame, least: int) -> tuple[DataFrame, list[DataFrame]]:
+    """Pairs of one bucket in different components whose possible overlap suffices; and the held tables they rest on."""
     placed = members.join(parts.select(F.col("node").alias("doc"), "component"), "doc", "left").withColumn("component", F.coalesce("component", "doc"))
     # a bucket of two was settled by its star
     active = placed.groupBy("band").agg(F.count(F.lit(1)).alias("m"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("m > 2 and lo <> hi").select("band")
-    placed = written(placed.join(active, "band"))
+    placed = held(placed.join(active, "band"))
     docs = placed.select("doc", "component").distinct()
     own = sets.join(docs, "doc")
     alone = own.select("doc", F.explode("items").alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("doc").alias("doc")).filter("c = 1").groupBy("doc").agg(F.count(F.lit(1)).alias("u"))
     facts = docs.join(sets.select("doc", "n"), "doc").join(alone, "doc", "left").withColumn("k", F.col("n") - F.coalesce("u", F.lit(0)))
     # a set that could not even be linked with a set of all its shared shingles is out
     facts = facts.filter(100 * F.col("k") >= least * F.col("n")).join(groups.select(F.col("rep").alias("doc"), "bands"), "doc")
-    rows = written(placed.select("band", "doc").join(facts, "doc").select("band", "doc", "component", "n", "k", "bands"))
+    rows = held(placed.select("band", "doc").join(facts, "doc").select("band", "doc", "component", "n", "k", "bands"))
     a, b = rows.alias("a"), rows.alias("b")
     most = F.least("a.k", "b.k")
     first = F.filter(F.zip_with("a.bands", "b.bands", lambda x, y: F.when(x == y, x)), lambda x: x.isNotNull())[0]
     apart = (F.col("a.doc") < F.col("b.doc")) & (F.col("a.component") != F.col("b.component"))
     enough = (100 + least) * most >= least * (F.col("a.n") + F.col("b.n"))
     # each pair once, in the first bucket that it shares
-    return a.join(b, (F.col("a.band") == F.col("b.band")) & apart & enough & (first == F.col("a.band"))).select(F.col("a.doc").alias("a"), F.col("b.doc").alias("b"))
+    pairs = a.join(b, (F.col("a.band") == F.col("b.band")) & apart & enough & (first == F.col("a.band"))).select(F.col("a.doc").alias("a"), F.col("b.doc").alias("b"))
+    return pairs, [placed, rows]
 
 
 def near_duplicates(docs: DataFrame, least: int = LEAST) -> DataFrame:
@@ -192,13 +192,16 @@ def near_duplicates(docs: DataFrame, least: int = LEAST) -> DataFrame:
     groups = written(sketches.filter("n > 0").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.any_value("bands").alias("bands")))
     rows = groups.select(F.col("rep").alias("doc"), F.explode("bands").alias("band"))
     shared = rows.groupBy("band").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("band")
-    members = written(rows.join(shared, "band").select("band", "doc"))
-    wanted = written(members.select(F.col("doc").alias("doc_id")).distinct())
+    members = held(rows.join(shared, "band").select("band", "doc"))
+    wanted = held(members.select(F.col("doc").alias("doc_id")).distinct())
     few = wanted.count() <= BROADCAST_IDS
-    sets = written(_full_sets(docs.join(F.broadcast(wanted) if few else wanted, "doc_id").select("doc_id", "text")))
-    links = written(_confirmed(_star(members, sets.select("doc", "n"), least), sets, least))
-    more = _confirmed(_unsettled(members, groups, sets, components(links), least), sets, least)
-    parts = components(links.unionAll(more))
+    sets = held(_full_sets(docs.join(F.broadcast(wanted) if few else wanted, "doc_id").select("doc_id", "text")))
+    stars, ranked = _star(members, groups.select(F.col("rep").alias("doc"), "n"), least)
+    links = held(_confirmed(stars, sets, least))
+    pairs, mid = _unsettled(members, groups, sets, components(links), least)
+    parts = components(links.unionAll(_confirmed(pairs, sets, least)))
+    for t in (*mid, links, ranked, sets, wanted, members):  # components() has read them all
+        t.unpersist()
     copies = groups.filter("copies > 1").select("d1", "d2", "n", "rep")
     out = sketches.select("doc_id", "n", "d1", "d2").join(copies, ["d1", "d2", "n"], "left").withColumn("rep", F.coalesce("rep", "doc_id"))
     out = out.join(parts.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
