@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from markerpanel.llm import textbytes as tb
-from markerpanel.llm.common import arrow_map, held, one_row_per_id, shown, sliced, strings, table, written
+from markerpanel.llm.common import arrow_map, discard, held, one_row_per_id, shown, sliced, strings, table, written
 from markerpanel.llm.components import components
 
 #: Similarity in hundredths.
@@ -192,16 +192,18 @@ def near_duplicates(docs: DataFrame, least: int = LEAST) -> DataFrame:
     groups = written(sketches.filter("n > 0").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.any_value("bands").alias("bands")))
     rows = groups.select(F.col("rep").alias("doc"), F.explode("bands").alias("band"))
     shared = rows.groupBy("band").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("band")
-    members = held(rows.join(shared, "band").select("band", "doc"))
+    # small beside the texts: rebalanced into few files, and plans that read them stay short
+    members = written(rows.join(shared, "band").select("band", "doc").hint("rebalance"))
     wanted = held(members.select(F.col("doc").alias("doc_id")).distinct())
     few = wanted.count() <= BROADCAST_IDS
     sets = held(_full_sets(docs.join(F.broadcast(wanted) if few else wanted, "doc_id").select("doc_id", "text")))
     stars, ranked = _star(members, groups.select(F.col("rep").alias("doc"), "n"), least)
-    links = held(_confirmed(stars, sets, least))
+    links = written(_confirmed(stars, sets, least).hint("rebalance"))
     pairs, mid = _unsettled(members, groups, sets, components(links), least)
     parts = components(links.unionAll(_confirmed(pairs, sets, least)))
-    for t in (*mid, links, ranked, sets, wanted, members):  # components() has read them all
+    for t in (*mid, ranked, sets, wanted):  # components() has read them all
         t.unpersist()
+    discard(members, links)
     copies = groups.filter("copies > 1").select("d1", "d2", "n", "rep")
     out = sketches.select("doc_id", "n", "d1", "d2").join(copies, ["d1", "d2", "n"], "left").withColumn("rep", F.coalesce("rep", "doc_id"))
     out = out.join(parts.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
