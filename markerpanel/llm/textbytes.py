@@ -74,8 +74,8 @@ def mixed(h: np.ndarray) -> np.ndarray:
 _BYTE = mixed(np.arange(1, 257, dtype=U64) * U64(0xD6E8FEB86659FD93))
 
 
-def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each stretch of bytes, by prefix sums."""
+def _long_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Hashes of stretches by prefix sums over all bytes: the time doesn't depend on their lengths."""
     size = 1 << max(12, int(len(data)).bit_length())
     up, down = _powers(size)
     total = np.zeros(len(data) + 1, U64)
@@ -83,6 +83,30 @@ def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mixed((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(U64) * U64(0xA0761D6478BD642F))
 
 
+#: Bytes of a stretch that is hashed eight by eight; longer ones take prefix sums.
+SHORT = 64
+_LOW_BYTES = np.array([(1 << 8 * k) - 1 for k in range(9)], U64)
+
+
+def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each stretch of bytes, which depends on its bytes alone; stretches of equal length up to eight bytes never clash."""
+    n = ends - starts
+    padded = np.zeros(len(data) + 8, np.uint8)
+    padded[: len(data)] = data
+    eight = np.ndarray((len(data) + 1,), "<u8", padded, strides=(1,))
+    out = mixed((eight[starts] & _LOW_BYTES[np.minimum(n, 8)]) + n.astype(U64) * U64(0xA0761D6478BD642F))
+    rest = np.flatnonzero((n > 8) & (n <= SHORT))
+    k = 8
+    while len(rest):
+        out[rest] = mixed((out[rest] ^ (eight[starts[rest] + k] & _LOW_BYTES[np.minimum(n[rest] - k, 8)])) * U64(0xE7037ED1A0B428DB))
+        k += 8
+        rest = rest[n[rest] > k]
+    far = np.flatnonzero(n > SHORT)
+    if len(far):
+        out[far] = _long_hashes(data, starts[far], ends[far])
+    return out
+
+
 def chained(hashes: np.ndarray, count: int) -> np.ndarray:
     """Hash of each run of ``count`` neighbouring hashes, order counted; entry k begins at k."""
     n = len(hashes) - count + 1
