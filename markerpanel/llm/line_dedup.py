@@ -43,7 +43,7 @@ MIN_WORDS = 1
 #: Size of the table of word counts by hash; the same for every corpus.
 RARITY_CELLS = 1 << 20
 CHUNK = 1 << 14
-SLICE = 1 << 20
+SLICE = 1 << 18
 #: Sets a task remembers as sent (bounds its memory only; results stay the same).
 SENT = 300_000
 #: Candidates that one row lists; lines with more get a pass of their own if these don't settle them.
@@ -304,6 +304,8 @@ def _candidates(postings: DataFrame, least: int, most: int) -> DataFrame:
         else:
             order = np.lexsort((line, doc, group))
         part = {k: v[order] for k, v in part.items()}
+        facts = part.pop("facts")
+        part |= {"size": facts >> 32, "pos": (facts & (2**32 - 1)) >> 1, "asks": (facts & 1) == 1}
         i, j, far, full = _earlier(part, least, most)
         if not len(i):
             return None
@@ -314,7 +316,7 @@ def _candidates(postings: DataFrame, least: int, most: int) -> DataFrame:
         lists = [pa.ListArray.from_arrays(edges, pa.array(part[c][j])) for c in ("doc_id", "line")]
         return pa.RecordBatch.from_arrays([pa.array(part["doc_id"][own]), pa.array(part["line"][own]), *lists, pa.array(full[own])], names=["doc_id", "line", "ds", "ls", "full"])
 
-    names = ("key", "doc_id", "line", "size", "pos", "b1", "b2", "asks")
+    names = ("key", "doc_id", "line", "facts", "b1", "b2")
 
     def run(batches):
         held: list[dict[str, np.ndarray]] = []
@@ -340,9 +342,11 @@ def _candidates(postings: DataFrame, least: int, most: int) -> DataFrame:
 
 
 def _postings(lines: DataFrame, asks) -> DataFrame:
-    """One row for each key of each line."""
+    """One row for each key of each line; facts: its size, its place in the order and whether it asks, in one number."""
     some = lines.filter(F.size("keys") > 0).select("doc_id", "line", "size", "b1", "b2", "places", asks.alias("asks"), F.posexplode("keys").alias("i", "key"))
-    return some.select("key", "doc_id", "line", "size", F.coalesce(F.get("places", F.col("i")), F.col("i")).cast("long").alias("pos"), "b1", "b2", "asks")
+    pos = F.coalesce(F.get("places", F.col("i")), F.col("i")).cast("long")
+    facts = F.shiftleft("size", 32).bitwiseOR(F.shiftleft(pos, 1)).bitwiseOR(F.col("asks").cast("long"))
+    return some.select("key", "doc_id", "line", facts.alias("facts"), "b1", "b2")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, least: int) -> DataFrame:
@@ -417,7 +421,7 @@ def deduplicated(docs: DataFrame, least: int = LEAST, min_words: int = MIN_WORDS
     """doc_id, text (kept lines, joined by line feeds), n_lines, n_removed for every document (unique ids)."""
     hits = line_matches(docs, least, min_words, most, group)
     gone = _small(written(hits.groupBy("doc_id").agg(F.collect_list(F.col("line").cast("int")).alias("gone"))))
-    feeds = F.coalesce(F.length("text") - F.length(F.translate("text", "\n", "")), F.lit(0))
+    feeds = F.coalesce(F.octet_length("text") - F.octet_length(F.replace("text", F.lit("\n"), F.lit(""))), F.lit(0))
     out = docs.join(gone, "doc_id", "left").withColumn("gone", F.coalesce("gone", F.array().cast("array<int>")))
 
     def rest(lines):
