@@ -54,7 +54,6 @@ GROUP = 1 << 16
 ROWS = 1 << 17
 #: Lines or documents up to this many are broadcast (under 100 bytes each); more are joined by shuffle.
 BROADCAST_ROWS = 200_000
-_NEWLINE = np.array([b == 10 for b in range(256)])
 
 
 def _line_words(texts: pa.Array):
@@ -63,14 +62,14 @@ def _line_words(texts: pa.Array):
     Lines are numbered over the slice; every text has one line more than line feeds.
     """
     data, offsets = tb.buffer(texts)
-    feeds = np.concatenate([[0], np.cumsum(_NEWLINE[data])])
-    before = feeds[offsets]  # line feeds before each text
+    feeds = np.cumsum(data == 10, dtype=np.int64 if len(data) >= 1 << 31 else np.int32)  # up to each byte, itself included
+    before = np.where(offsets > 0, feeds[offsets - 1], 0).astype(np.int64) if len(data) else np.zeros(len(offsets), np.int64)  # line feeds before each text
     first = before[:-1] + np.arange(len(texts))
     n_lines = np.diff(before) + 1
     low = tb.lowered(data)
     s, e, doc = tb.words(low, offsets, tb.NOT_GAP)
     h = tb.span_hashes(low, s, e)
-    line = feeds[s] + doc
+    line = feeds[s] + doc  # no word starts with a line feed
     owner = np.repeat(np.arange(len(texts)), n_lines)
     number = np.arange(len(owner)) - first[owner]
     return line, h, owner, number

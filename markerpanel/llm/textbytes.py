@@ -50,7 +50,7 @@ def words(data: np.ndarray, offsets: np.ndarray, kind: np.ndarray) -> tuple[np.n
     starts[cut] |= inside[cut]
     ends[cut - 1] |= inside[cut - 1]
     s, e = np.flatnonzero(starts), np.flatnonzero(ends) + 1
-    return s, e, np.searchsorted(offsets, s, "right") - 1
+    return s, e, np.repeat(np.arange(len(offsets) - 1), np.diff(np.searchsorted(s, offsets)))
 
 
 @functools.cache
