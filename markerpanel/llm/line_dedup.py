@@ -151,18 +151,17 @@ def _lines(docs: DataFrame, held, least: int, min_words: int, group: int) -> Dat
 
     def make():
         counts = held.value
+        of_mark = _chunks(np.arange(256), group) if group < 1 << 30 else np.ones(256, np.int64)
         sent: set[int] = set()
 
-        def dealt(words: np.ndarray, blocks: np.ndarray, seed: int) -> tuple[list[int], list[int]]:
-            """Keys and places of a line with a word that many lines have: one key for each pair of chunks that it is in."""
-            keys, places = [], []
-            for p, (w, g) in enumerate(zip(words.tolist(), blocks.tolist(), strict=True)):
-                own = seed % g
-                pairs = np.array([min(own, t) * g + max(own, t) for t in range(g)], np.uint64) if g > 1 else np.zeros(1, np.uint64)
-                new = tb.mixed(np.uint64(w) ^ tb.mixed(pairs * np.uint64(2) + np.uint64(1))) if g > 1 else np.array([w], np.uint64)
-                keys += new.view(np.int64).tolist()
-                places += [p] * len(new)
-            return keys, places
+        def dealt(words: np.ndarray, blocks: np.ndarray, seeds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            """Keys of prefix words, and the entry each belongs to: a word that many lines have gets one for each pair of chunks that its line is in."""
+            entry = np.repeat(np.arange(len(words)), blocks)
+            g = blocks[entry].astype(np.uint64)
+            t = (np.arange(len(entry)) - np.repeat(np.cumsum(blocks) - blocks, blocks)).astype(np.uint64)
+            own = seeds[entry] % g
+            pairs = np.minimum(own, t) * g + np.maximum(own, t)
+            return np.where(g > 1, tb.mixed(words[entry] ^ tb.mixed(pairs * np.uint64(2) + np.uint64(1))), words[entry]), entry
 
         def step(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             col = strings(batch.column(1))
@@ -190,24 +189,23 @@ def _lines(docs: DataFrame, held, least: int, min_words: int, group: int) -> Dat
                 prefix = np.where(fresh, size - -(-least * size // 100) + 1, 0)
                 at = np.arange(len(line)) - start[line]
                 inside = at < prefix[line]
-                blocks = _chunks(mark, group) if group < 1 << 30 else np.ones(len(h), np.int64)
+                blocks = of_mark[mark]
                 hot = np.zeros(len(owner), bool)
                 hot[line[inside & (blocks > 1)]] = True
-                words = h[inside].view(np.int64)
-                ends = np.cumsum(prefix)
-                places: list = [None] * len(keep)
-                if not hot.any():
-                    keys = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(prefix[keep])]), pa.int32()), pa.array(words))
-                else:
-                    lists = [words[ends[k] - prefix[k] : ends[k]].tolist() for k in keep]
-                    for i, k in enumerate(keep.tolist()):
-                        if hot[k]:
-                            own = slice(start[k], start[k] + prefix[k])
-                            seed = int(tb.mixed(np.array([int(ids[lo + owner[k]]) & (2**64 - 1), number[k]], np.uint64)).sum())
-                            lists[i], places[i] = dealt(h[own], blocks[own], seed)
-                    keys = pa.array(lists, pa.list_(pa.int64()))
+                words, n_keys = h[inside], prefix
+                places = pa.nulls(len(keep), pa.list_(pa.int32()))
+                if hot.any():
+                    # a line's seed is its place in the corpus; the keys of one line stand together, as its words do
+                    of = line[inside]
+                    seeds = tb.mixed(ids[lo + owner].view(np.uint64)) + tb.mixed(number.astype(np.uint64))
+                    words, entry = dealt(words, blocks[inside], seeds[of])
+                    n_keys = np.bincount(of[entry], minlength=len(owner))
+                    some = hot[of[entry]]
+                    edges = pa.array(np.concatenate([[0], np.cumsum(np.where(hot, n_keys, 0)[keep])]), pa.int32())
+                    places = pa.ListArray.from_arrays(edges, pa.array(at[inside][entry][some], pa.int32()), mask=pa.array(~hot[keep]))
+                keys = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(n_keys[keep])]), pa.int32()), pa.array(words.view(np.int64)))
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids[lo + owner[keep]]), *(pa.array(c[keep]) for c in (number, size, d1, d2, b1, b2)), keys, pa.array(places, pa.list_(pa.int32()))],
+                    [pa.array(ids[lo + owner[keep]]), *(pa.array(c[keep]) for c in (number, size, d1, d2, b1, b2)), keys, places],
                     names=["doc_id", "line", "size", "d1", "d2", "b1", "b2", "keys", "places"],
                 )
 
