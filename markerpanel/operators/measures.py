@@ -85,7 +85,7 @@ def fmt6_check(spark, n: int = 1_000_000, seed: int = 1) -> DataFrame:
 
 def sparsity(panel) -> DataFrame:
     """cells, size, zero_share of the whole matrix."""
-    n = len(panel.members())
+    n = panel.size()
     return panel.cells.agg(F.count(F.lit(1)).alias("cells"), (F.countDistinct("marker") * n).alias("size")).withColumn("zero_share", 1 - F.col("cells") / F.col("size"))
 
 

@@ -1,8 +1,12 @@
 """Sizes beyond the bounds of broadcasts, driver lists and log tables: the same rows by the other way."""
 
+import pytest
 from pyspark.sql import functions as F
 
-from markerpanel.plans import joins, plancheck
+from markerpanel.errors import PanelError
+from markerpanel.functions import kernels
+from markerpanel.plans import joins, plancheck, presence
+from markerpanel.sources import panels as pn
 from markerpanel.workloads import QUERIES
 
 SMALL = "/root/testdata/sf0.001"
@@ -22,3 +26,47 @@ def test_broadcast_join_of_a_large_table(spark, monkeypatch):
         assert "Broadcast" not in plancheck.text(many) and rows(many) == rows(few) == rows(QUERIES["op_join_merge"](spark, SMALL))
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def many(spark, n, group=lambda i: 1 + i % 2):
+    """A panel of n individuals: marker m is carried by those that m divides, 0 by one that no group lists."""
+    groups = spark.range(n).select(F.col("id").alias("ind"), group(F.col("id")).cast("int").alias("grp"))
+    cells = spark.range(n).select(F.explode(F.array(*map(F.lit, (1, 2, 3, 97)))).alias("marker"), F.col("id").alias("ind"), F.lit(1).alias("depth")).filter("ind % marker = 0")
+    return pn.Panel(cells.unionAll(spark.sql(f"select 0, {n}L, 1")), groups)
+
+
+def test_counts_beyond_20000_individuals(spark, monkeypatch):
+    n = 30_001
+    p = many(spark, n)
+    assert (p.sizes(), p.size()) == ((15_001, 15_000), n)
+    want = [(0, 0, 0, 1)] + sorted((m, sum(i % m == i % 2 == 0 for i in range(n)), sum(i % m == 0 and i % 2 for i in range(n)), -(-n // m)) for m in (1, 2, 3, 97))
+    assert rows(presence.group_counts(p)) == want
+    monkeypatch.setattr(pn, "BROADCAST_GROUPS", 100)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        counts = presence.group_counts(many(spark, n))
+        assert "Broadcast" not in plancheck.text(counts) and rows(counts) == want
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_individuals_listed_twice(spark):
+    cells = spark.createDataFrame([("a", 1, 1), ("a", 2, 1), ("b", 2, 3)], "marker string, ind long, depth int")
+    groups = spark.createDataFrame([(1, 1), (2, 1), (2, 2), (2, 2)], "ind long, grp int")
+    assert rows(presence.group_counts(pn.Panel(cells, groups, both=True))) == [("a", 2, 1, 3), ("b", 1, 1, 2)]
+    with pytest.raises(PanelError):
+        pn.Panel(cells, groups).sizes()
+
+
+#: Queries whose panels grow with the data: none may hold individuals on the driver.
+GROWING = ("b8_conditional_counts",)
+
+
+@pytest.mark.parametrize("name", GROWING)
+def test_no_bound_on_individuals(spark, monkeypatch, name):
+    want = rows(QUERIES[name](spark, SMALL))
+    for module, bound in ((pn, "MOST_INDIVIDUALS"), (pn, "BROADCAST_GROUPS"), (kernels, "MOST_INDIVIDUALS"), (kernels, "TABLE"), (presence, "MOST_CELLS"), (presence, "BROADCAST_CELLS"), (presence, "DENSE")):
+        if hasattr(module, bound):
+            monkeypatch.setattr(module, bound, 5)
+    got = rows(QUERIES[name](spark, SMALL))
+    assert len(got) == len(want) and all(a == pytest.approx(b, abs=2e-6) if isinstance(a, float) else a == b for r, s in zip(got, want, strict=True) for a, b in zip(r, s, strict=True))
