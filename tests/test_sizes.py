@@ -59,7 +59,7 @@ def test_individuals_listed_twice(spark):
 
 
 #: Queries whose panels grow with the data: none may hold individuals on the driver.
-GROWING = ("b8_conditional_counts",)
+GROWING = ("b8_conditional_counts", "lattice_p4",)
 
 
 @pytest.mark.parametrize("name", GROWING)
