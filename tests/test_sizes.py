@@ -59,7 +59,7 @@ def test_individuals_listed_twice(spark):
 
 
 #: Queries whose panels grow with the data: none may hold individuals on the driver.
-GROWING = ("b8_conditional_counts", "lattice_p4", "lattice_p7", "qc_report", "k_yates_wide", "lattice_p11",)
+GROWING = ("b8_conditional_counts", "lattice_p4", "lattice_p7", "qc_report", "k_yates_wide", "lattice_p11", "lattice_p8",)
 
 
 @pytest.mark.parametrize("name", GROWING)
