@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from markerpanel.errors import PanelError
 from markerpanel.functions import dna
 from markerpanel.functions import kernels as k
-from markerpanel.plans import evidence, presence
+from markerpanel.plans import evidence, joins, presence
 from markerpanel.sources.panels import Panel
 
 #: Columns of a materialised wide table.
@@ -136,9 +136,16 @@ def pca_mllib(cells: DataFrame, n: int = 2):
 
 
 def map_exact_contains(tags: DataFrame, contigs: DataFrame, k_: int = 24) -> DataFrame:
-    """marker, contig: some window of the tag (or its reverse complement) stands on the contig; a nested loop."""
-    w = tags.select("marker", F.explode(F.concat(dna.kmers("marker", k_), F.transform(dna.kmers("marker", k_), dna.revcomp))).alias("w")).distinct()
-    return w.join(contigs, F.expr("instr(seq, w) > 0")).select("marker", "contig").distinct()
+    """marker, contig: some window of the tag (or its reverse complement) stands on the contig; every pair, no places or votes.
+
+    A window stands there in reverse if it is a reversed window of the contig, so only the contigs' windows are
+    reversed. Each text is looked up once by equality, and gives all contigs that have it.
+    """
+    both = F.concat(dna.kmers("seq", k_), F.transform(dna.kmers("seq", k_), dna.revcomp))
+    index = contigs.select("contig", F.explode(both).alias("w")).groupBy("w").agg(F.collect_set("contig").alias("contigs"))
+    probes = tags.select("marker", F.explode(F.array_distinct(dna.kmers("marker", k_))).alias("w"))
+    hits = probes.join(joins.if_small(index), "w")
+    return hits.select("marker", F.explode("contigs").alias("contig")).distinct()
 
 
 def evidence_per_marker(panel: Panel, d: int = 1, engine: str = "expr", prior: k.Prior = k.Prior()) -> DataFrame:

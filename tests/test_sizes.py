@@ -1,10 +1,13 @@
 """Sizes beyond the bounds of broadcasts, driver lists and log tables: the same rows by the other way."""
 
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
 from markerpanel.errors import PanelError
 from markerpanel.functions import kernels
+from markerpanel.operators import baselines
 from markerpanel.plans import joins, plancheck, presence
 from markerpanel.sources import panels as pn
 from markerpanel.workloads import QUERIES
@@ -70,3 +73,16 @@ def test_no_bound_on_individuals(spark, monkeypatch, name):
             monkeypatch.setattr(module, bound, 5)
     got = rows(QUERIES[name](spark, SMALL))
     assert len(got) == len(want) and all(a == pytest.approx(b, abs=2e-6) if isinstance(a, float) else a == b for r, s in zip(got, want, strict=True) for a, b in zip(r, s, strict=True))
+
+
+def test_contained_windows(spark, monkeypatch):
+    rng = random.Random(3)
+    contigs = [("".join(rng.choice("ACGT") for _ in range(rng.choice((0, 23, 24, 60, 200))))) for _ in range(40)] + ["A" * 80, "A" * 24]
+    tags = ["".join(rng.choice("ACGT") for _ in range(94)) for _ in range(40)] + ["A" * 94, "T" * 94, "ACGT"]
+    back = lambda s: s.translate(str.maketrans("ACGT", "TGCA"))[::-1]
+    tags += [rng.choice(("", "G")) + (c if k % 2 else back(c))[:50] + "C" * 44 for k, c in enumerate(contigs) if len(c) >= 24]
+    want = sorted({(t, i) for t in tags for i, c in enumerate(contigs) for s in (t, back(t)) for a in range(len(s) - 23) if s[a : a + 24] in c})
+    t, c = spark.createDataFrame([(t,) for t in set(tags)], "marker string"), spark.createDataFrame(list(enumerate(contigs)), "contig int, seq string")
+    assert "NestedLoop" not in plancheck.text(baselines.map_exact_contains(t, c)) and rows(baselines.map_exact_contains(t, c)) == want
+    monkeypatch.setattr(joins, "MOST_ROWS", 5)
+    assert rows(baselines.map_exact_contains(t, c)) == want
