@@ -63,7 +63,7 @@ def test_individuals_listed_twice(spark):
 
 
 #: Queries whose panels grow with the data: none may hold individuals on the driver.
-GROWING = ("b8_conditional_counts", "lattice_p4", "lattice_p7", "qc_report", "k_yates_wide", "lattice_p11", "lattice_p8", "w1_signif_wide", "w6_signif", "triage_role", "triage_events", "triage_supplier", "bitset_counts")
+GROWING = ("b8_conditional_counts", "lattice_p4", "lattice_p7", "qc_report", "k_yates_wide", "lattice_p11", "lattice_p8", "w1_signif_wide", "w6_signif", "triage_role", "triage_events", "triage_supplier", "bitset_counts", "op_backend_diff")
 
 
 @pytest.mark.parametrize("name", GROWING)
