@@ -134,7 +134,7 @@ def test_triage_without_an_exploratory_row(spark):
 
 
 #: Queries that once made their rows up, and a table whose rows they must read.
-FROM_TABLES = (("b3_general_tail", "orders"), ("erfc_error", "lineitem"), ("fmt6_check", "lineitem"), ("k_erfc", "orders"))
+FROM_TABLES = (("b3_general_tail", "orders"), ("erfc_error", "lineitem"), ("fmt6_check", "lineitem"), ("k_erfc", "orders"), ("op_recursive_logfact", "lineitem"))
 
 
 @pytest.mark.parametrize(("name", "table"), FROM_TABLES)
