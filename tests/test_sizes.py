@@ -3,6 +3,7 @@
 import math
 import random
 
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
@@ -12,7 +13,7 @@ from markerpanel.operators import baselines, commands, triage
 from markerpanel.plans import joins, plancheck, presence
 from markerpanel.sources import panels as pn
 from markerpanel.sources.tables import load
-from markerpanel.workloads import QUERIES
+from markerpanel.workloads import QUERIES, SQL
 
 SMALL = "/root/testdata/sf0.001"
 
@@ -151,3 +152,34 @@ def test_reads_its_table(spark, name, table):
     got = df.collect()
     column = {"erfc_error": "points", "fmt6_check": "points", "op_recursive_logfact": "lines"}.get(name)
     assert (sum(r[column] for r in got) if column else len(got)) == n
+
+
+def odd_tables(spark, tmp_path, **more):
+    """A folder of tables as SMALL has them, with more rows: lists of (row, ...) of the columns that are named."""
+    for name, (cols, extra) in more.items():
+        df = load(spark, SMALL, name)
+        kinds = ", ".join(f"{c} {dict(df.dtypes)[c]}" for c in cols.split())
+        df.unionByName(spark.createDataFrame(extra, kinds), allowMissingColumns=True).write.parquet(f"{tmp_path}/{name}.parquet")
+    return str(tmp_path)
+
+
+def check_sql(spark, d, name, tables):
+    """The query's rows over the folder are those of its SQL."""
+    con = duckdb.connect()
+    for t in tables:
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{d}/{t}.parquet/*.parquet')")
+    want = con.execute(SQL[name])
+    cols = [c[0] for c in want.description]
+    assert rows(QUERIES[name](spark, d).select(*cols)) == sorted(want.fetchall(), key=repr)
+
+
+#: Documents that are repeated or have no id or text, and labels that are repeated, differ or are missing.
+LABELLED = {
+    "documents": ("doc_id text", [(9001, "zza zzb zzb"), (9001, "zza"), (9002, "zza zzc"), (9003, None), (9004, "zzc"), (None, "zza"), (9005, "zza")]),
+    "labels": ("doc_id quality", [(9001, 1), (9002, 1), (9002, 0), (9002, 0), (9003, 1), (9004, None), (None, 1)]),
+}
+
+
+@pytest.mark.parametrize("name", ["lattice_p4"])
+def test_documents_labelled_more_than_once(spark, tmp_path, name):
+    check_sql(spark, odd_tables(spark, tmp_path, **LABELLED), name, LABELLED)
