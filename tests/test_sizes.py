@@ -180,7 +180,7 @@ LABELLED = {
 }
 
 
-@pytest.mark.parametrize("name", ["lattice_p4"])
+@pytest.mark.parametrize("name", ["lattice_p4", "qc_report"])
 def test_documents_labelled_more_than_once(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **LABELLED), name, LABELLED)
 
