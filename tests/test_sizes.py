@@ -189,6 +189,6 @@ def test_documents_labelled_more_than_once(spark, tmp_path, name):
 SPOKEN = {"conversations": ("conv_id turn role text", [(9001, 13, "user", "\u039f\u03a3 \u0130\u0130  \u03a3"), (9002, 3, "assistant", "\u03bf\u03c3 ii"), (9001, 1, "user", "\u03bf\u03c2 i\u0307i\u0307"), (9001, 2, "user", None), (9001, 4, None, "ii"), (None, 1, "user", "ii"), (9003, None, "assistant", "\u03bf\u03c3")])}
 
 
-@pytest.mark.parametrize("name", ["lattice_p7"])
+@pytest.mark.parametrize("name", ["lattice_p7", "w6_signif"])
 def test_lower_case_of_single_letters(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **SPOKEN), name, SPOKEN)
