@@ -192,3 +192,15 @@ SPOKEN = {"conversations": ("conv_id turn role text", [(9001, 13, "user", "\u039
 @pytest.mark.parametrize("name", ["lattice_p7", "w6_signif"])
 def test_lower_case_of_single_letters(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **SPOKEN), name, SPOKEN)
+
+
+#: Suppliers that are repeated, have two nations or no key, and lines without a part or a supplier.
+SUPPLIED = {
+    "supplier": ("s_suppkey s_nationkey", [(1, 0), (1, 1), (2, 0), (2, 0), (9001, None), (None, 1)]),
+    "lineitem": ("l_orderkey l_partkey l_suppkey", [(1, None, 1), (1, None, 2), (1, 7, None), (1, 9001, 1), (1, 9001, 2), (1, 9002, 9001)]),
+}
+
+
+@pytest.mark.parametrize("name", ["triage_supplier"])
+def test_suppliers_listed_more_than_once(spark, tmp_path, name):
+    check_sql(spark, odd_tables(spark, tmp_path, **SUPPLIED), name, SUPPLIED)
