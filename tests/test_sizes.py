@@ -201,6 +201,6 @@ SUPPLIED = {
 }
 
 
-@pytest.mark.parametrize("name", ["triage_supplier"])
+@pytest.mark.parametrize("name", ["triage_supplier", "k_yates_wide"])
 def test_suppliers_listed_more_than_once(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **SUPPLIED), name, SUPPLIED)
