@@ -201,6 +201,6 @@ SUPPLIED = {
 }
 
 
-@pytest.mark.parametrize("name", ["triage_supplier", "k_yates_wide"])
+@pytest.mark.parametrize("name", ["triage_supplier", "k_yates_wide", "lattice_p11"])
 def test_suppliers_listed_more_than_once(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **SUPPLIED), name, SUPPLIED)
