@@ -1,5 +1,6 @@
 """Sizes beyond the bounds of broadcasts, driver lists and log tables: the same rows by the other way."""
 
+import datetime
 import math
 import random
 
@@ -204,3 +205,11 @@ SUPPLIED = {
 @pytest.mark.parametrize("name", ["triage_supplier", "k_yates_wide", "lattice_p11"])
 def test_suppliers_listed_more_than_once(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **SUPPLIED), name, SUPPLIED)
+
+
+#: Events without a time, a type or a user.
+TIMELESS = {"events": ("event_id ts user_id event_type", [(1, None, 3, "click"), (2, None, 4, "click"), (3, datetime.datetime(2024, 1, 1, 5), 5, None), (4, None, 6, None), (5, datetime.datetime(2024, 1, 1, 5), None, "click")])}
+
+
+def test_events_without_a_slot(spark, tmp_path):
+    check_sql(spark, odd_tables(spark, tmp_path, **TIMELESS), "lattice_p8", TIMELESS)
