@@ -44,8 +44,9 @@ def crossover(df: DataFrame, factor: float = 10.0) -> DataFrame:
 
 
 def max_rel_diff(a: DataFrame, b: DataFrame, keys: list[str], value: str) -> DataFrame:
-    """n, missing, worst absolute and relative difference of a column over a full outer join."""
-    both = a.select(*keys, F.col(value).alias("x")).join(b.select(*keys, F.col(value).alias("y")), keys, "full")
+    """n, missing, worst absolute and relative difference of a column over a full outer join; null keys meet each other."""
+    y = b.select(*[F.col(c).alias(f"_{i}") for i, c in enumerate(keys)], F.col(value).alias("y"))
+    both = a.select(*keys, F.col(value).alias("x")).join(y, [F.col(c).eqNullSafe(F.col(f"_{i}")) for i, c in enumerate(keys)], "full")
     gap = F.abs(F.col("x") - F.col("y"))
     return both.agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("x").isNull() != F.col("y").isNull()).alias("missing"), F.coalesce(F.max(gap), F.lit(0.0)).alias("worst_abs"), F.coalesce(F.max(F.try_divide(gap, F.abs("y"))), F.lit(0.0)).alias("worst_rel"))
 

@@ -202,7 +202,7 @@ SUPPLIED = {
 }
 
 
-@pytest.mark.parametrize("name", ["triage_supplier", "k_yates_wide", "lattice_p11"])
+@pytest.mark.parametrize("name", ["triage_supplier", "k_yates_wide", "lattice_p11", "op_backend_diff"])
 def test_suppliers_listed_more_than_once(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **SUPPLIED), name, SUPPLIED)
 
