@@ -208,6 +208,13 @@ def test_lower_case_of_single_letters(spark, tmp_path, name):
     check_sql(spark, odd_tables(spark, tmp_path, **SPOKEN), name, SPOKEN)
 
 
+def test_no_marker_of_a_group_is_deep_enough(spark, tmp_path):
+    # the only words that are said twice are of turns without an id, which no group lists
+    rows_ = [(1, 1, "user", "a b"), (2, 2, "assistant", "a c"), (None, 3, "user", "d d e")]
+    spark.createDataFrame(rows_, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    check_sql(spark, str(tmp_path), "w6_signif", ["conversations"])
+
+
 #: Suppliers that are repeated, have two nations or no key, and lines without a part or a supplier.
 SUPPLIED = {
     "supplier": ("s_suppkey s_nationkey", [(1, 0), (1, 1), (2, 0), (2, 0), (9001, None), (None, 1)]),
